@@ -15,9 +15,12 @@ null label or beyond the bound are scored like any other."""
 
 from __future__ import annotations
 
+import pickle
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -29,24 +32,24 @@ BOUND, ORDER, SHARED, DISCOUNT, KEPT = 4_000, 6, 2, 1.0, 1_500_000
 _LETTERS = np.uint64(0x9E3779B97F4A7C15)
 
 
-def _runs(words: list[str], order: int) -> tuple[list[np.ndarray], list[np.ndarray], np.ndarray]:
-    """For each letter of each word, and the mark at its end: hashes of the runs of 0 to `order` letters that end in it,
-    of those of 0 to order-1 letters before it, and the word's index. Runs begin in the marks before the word."""
+def _places(words: list[str], order: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Letters of all words, each word behind its marks and with one at its end; where those to predict stand; and their words."""
     pad = order - 1
     text = "".join("\x02" * pad + w + "\x03" for w in words)
     codes = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64) + np.uint64(1)
     lengths = np.fromiter(map(len, words), np.int64, len(words)) + 1
     word = np.repeat(np.arange(len(words)), lengths)
-    at = np.arange(len(word)) + pad * (word + 1)
-    runs, before = [np.zeros(len(at), np.uint64)], [np.zeros(len(at), np.uint64)]
+    return codes, np.arange(len(word)) + pad * (word + 1), word
+
+
+def _runs(codes: np.ndarray, at: np.ndarray, order: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """For k from 1 to order: hashes of the k letters that end at each place, and of the k-1 letters before it."""
     run, context = np.zeros(len(at), np.uint64), np.zeros(len(at), np.uint64)
     for k, power in enumerate(powers(_LETTERS, order)):
         run = run + codes[at - k] * power
-        runs.append(mixed(run + np.uint64(k + 1)))
-        if k < pad:
+        yield mixed(run + np.uint64(k + 1)), mixed(context + np.uint64(k + 101))
+        if k + 1 < order:
             context = context + codes[at - 1 - k] * power
-            before.append(mixed(context + np.uint64(k + 101)))
-    return runs, before, word
 
 
 class Model:
@@ -54,21 +57,28 @@ class Model:
 
     def __init__(self, words: list[str], counts: np.ndarray, order: int = ORDER, shared: int = SHARED, discount: float = DISCOUNT):
         self.order, self.shared, self.discount = order, shared, discount
-        runs, contexts, word = _runs(words, order)
+        codes, at, word = _places(words, order)
         self.tables, self.followed = [], []
+        steps = _runs(codes, at, order)
+        now = next(steps)
         for k in range(1, order + 1):
-            keys, first, index = np.unique(runs[k], return_index=True, return_inverse=True)
-            weights = np.stack([np.bincount(index, counts[word, c], len(keys)) for c in (0, 1)])
-            parents = contexts[k - 1][first]
+            runs, contexts = now
+            keys, first, index = np.unique(runs, return_index=True, return_inverse=True)
             if k < order:  # Kneser-Ney: how many different letters stand before the run, in each class or in both
-                longer, at, index_up = np.unique(runs[k + 1], return_index=True, return_inverse=True)
-                seen = np.stack([np.bincount(np.searchsorted(keys, runs[k][at]), (np.bincount(index_up, counts[word, c], len(longer)) > 0).astype(float), len(keys)) for c in (0, 1)])
-                either = np.bincount(np.searchsorted(keys, runs[k][at]), minlength=len(keys)).astype(float)
-                weights = np.stack([either, either]) if k <= shared else seen
+                now = next(steps)
+                longer, one, up = np.unique(now[0], return_index=True, return_inverse=True)
+                ends = index[one]
+                if k <= shared:
+                    weights = np.stack([np.bincount(ends, minlength=len(keys)).astype(float)] * 2)
+                else:
+                    weights = np.stack([np.bincount(ends, (np.bincount(up, counts[word, c], len(longer)) > 0).astype(float), len(keys)) for c in (0, 1)])
+                del longer, one, up, ends
+            else:
+                weights = np.stack([np.bincount(index, counts[word, c], len(keys)) for c in (0, 1)])
             self.tables.append((keys, weights.astype(np.float32)))
-            above, at = np.unique(parents, return_inverse=True)
-            totals = np.stack([np.bincount(at, weights[c], len(above)) for c in (0, 1)])
-            kinds = np.stack([np.bincount(at, np.minimum(weights[c] / discount, 1.0), len(above)) for c in (0, 1)])
+            above, of = np.unique(contexts[first], return_inverse=True)
+            totals = np.stack([np.bincount(of, weights[c], len(above)) for c in (0, 1)])
+            kinds = np.stack([np.bincount(of, np.minimum(weights[c] / discount, 1.0), len(above)) for c in (0, 1)])
             self.followed.append((above, totals.astype(np.float32), kinds.astype(np.float32)))
         self.alphabet = max(1, len(self.tables[0][0])) + 1
 
@@ -76,16 +86,16 @@ class Model:
         """log P(word | class 1) - log P(word | class 0) of each word."""
         if not words:
             return np.zeros(0)
-        runs, contexts, word = _runs(words, self.order)
+        codes, at, word = _places(words, self.order)
         p = np.full((2, len(word)), 1.0 / self.alphabet)
-        for k in range(1, self.order + 1):
+        for k, (runs, contexts) in enumerate(_runs(codes, at, self.order), 1):
             keys, weights = self.tables[k - 1]
             above, totals, kinds = self.followed[k - 1]
-            at, hit = _find(keys, runs[k])
-            up, known = _find(above, contexts[k - 1])
+            near, hit = _find(keys, runs)
+            up, known = _find(above, contexts)
             for c in (0, 1):
                 total = np.where(known, totals[c][up], 0.0)
-                got = np.where(hit, weights[c][at], 0.0)
+                got = np.where(hit, weights[c][near], 0.0)
                 have = total > 0
                 safe = np.where(have, total, 1.0)
                 p[c] = np.where(have, np.maximum(got - self.discount, 0) / safe + self.discount * np.where(known, kinds[c][up], 0.0) / safe * p[c], p[c])
@@ -132,8 +142,13 @@ def _curve(x: np.ndarray, y: np.ndarray, ridge: float = 1e-3) -> tuple[np.ndarra
 
 
 class Scorer:
-    def __init__(self, model: Model, curve: tuple[np.ndarray, np.ndarray, np.ndarray]):
-        self.model, self.curve = model, curve
+    """A packed model, unpacked where it is used, and the curve."""
+
+    def __init__(self, packed: bytes, curve: tuple[np.ndarray, np.ndarray, np.ndarray]):
+        self.packed, self.curve = packed, curve
+
+    def model(self) -> Model:
+        return pickle.loads(zlib.decompress(self.packed))
 
     def scores(self, features: np.ndarray) -> np.ndarray:
         mean, deviation, w = self.curve
@@ -165,24 +180,31 @@ def fit(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "te
         yield pa.RecordBatch.from_arrays([pa.array(words, pa.string()), pa.array(ys, pa.int32()), pa.array(folds, pa.int32()), pa.array(seen.values(), pa.int64())], ["word", "y", "fold", "n"])
 
     n = {(y, f): F.coalesce(F.sum(F.when((F.col("y") == y) & (F.col("fold") == f), F.col("n"))), F.lit(0)).alias(f"n{y}{f}") for y in (0, 1) for f in (0, 1)}
-    counted = sample.mapInArrow(count, "word string, y int, fold int, n long").groupBy("word").agg(*n.values()).orderBy("word").toArrow()
-    words = counted.column("word").to_pylist()
-    counts = {k: counted.column(f"n{k[0]}{k[1]}").to_numpy() for k in n}
-    folds = []
-    for f in (0, 1):
-        own = np.stack([counts[0, f], counts[1, f]], 1).astype(float)
+    counted = sample.mapInArrow(count, "word string, y int, fold int, n long").groupBy("word").agg(*n.values())
+
+    def build(key, group: pd.DataFrame) -> pd.DataFrame:
+        folds = (0, 1) if key[0] == 2 else key
+        own = np.stack([sum(group[f"n{y}{f}"].to_numpy() for f in folds) for y in (0, 1)], 1).astype(float)
         there = np.flatnonzero(own.sum(1))
-        folds.append(Model([words[i] for i in there], own[there]))
+        there = there[np.argsort(group["word"].to_numpy()[there])]
+        return pd.DataFrame({"which": [key[0]], "model": [zlib.compress(pickle.dumps(Model(group["word"].to_numpy()[there].tolist(), own[there])), 1)]})
+
+    # three models of bounded size, of either fold and of both, each built by one task
+    built = counted.withColumn("which", F.explode(F.array(F.lit(0), F.lit(1), F.lit(2)))).groupBy("which").applyInPandas(build, "which int, model binary")
+    models = {row["which"]: bytes(row["model"]) for row in built.collect()}
+    empty = zlib.compress(pickle.dumps(Model([], np.zeros((0, 2)))))
+    folds = [models.get(f, empty) for f in (0, 1)]
     shared = sample.sparkSession.sparkContext.broadcast(folds)
 
     def judge(batches):
         known: list[dict] = [{}, {}]
+        fold_models = [pickle.loads(zlib.decompress(x)) for x in shared.value]
         for batch in batches:
             rows = list(zip(batch.column("_text").to_pylist(), batch.column("_y").to_pylist(), batch.column("_fold").to_pylist(), strict=True))
             for part in chunks(rows, lambda r: len(r[0])):
                 for f in (0, 1):
                     own = [r for r in part if r[2] == f]
-                    x = _features([r[0] for r in own], shared.value[1 - f], known[1 - f])
+                    x = _features([r[0] for r in own], fold_models[1 - f], known[1 - f])
                     yield pa.RecordBatch.from_arrays([pa.array([r[1] for r in own], pa.int32()), *(pa.array(x[:, j]) for j in range(3))], ["y", "a", "b", "c"])
 
     judged = sample.mapInArrow(judge, "y int, a double, b double, c double").toPandas().sort_values(["y", "a", "b", "c"])
@@ -194,7 +216,7 @@ def fit(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "te
         curve = np.zeros(3), np.ones(3), np.array([0, 0, 0, np.log(share / (1 - share))])
     else:
         curve = _curve(x, y)
-    return Scorer(Model(words, np.stack([counts[0, 0] + counts[0, 1], counts[1, 0] + counts[1, 1]], 1).astype(float)), curve)
+    return Scorer(models.get(2, empty), curve)
 
 
 def score(docs: DataFrame, scorer: Scorer, text: str = "text", to: str = "score") -> DataFrame:
@@ -204,10 +226,11 @@ def score(docs: DataFrame, scorer: Scorer, text: str = "text", to: str = "score"
 
     def scored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known: dict = {}
+        model = shared.value.model()
         for batch in batches:
             values = []
             for part in chunks([t or "" for t in batch.column(text).to_pylist()], len):
-                values.append(shared.value.scores(_features(part, shared.value.model, known)))
+                values.append(shared.value.scores(_features(part, model, known)))
             # only what is kept goes back
             yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in kept), pa.array(np.concatenate(values) if values else np.zeros(0))], [*kept, to])
 
