@@ -13,8 +13,10 @@ from __future__ import annotations
 
 import base64
 import hashlib
+import re
 from collections import Counter
 from collections.abc import Iterator
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -27,6 +29,8 @@ from .common import stash
 
 #: Words that every task may hold; about 100 MB in a Python worker, whatever the input.
 RESIDENT_WORDS = 400_000
+#: Characters for which classes are spelt out; the number that stands for a word that is not resident.
+_NEAR, _GAP = 0x250, 0xFFFFFF
 
 
 def load_ranks(path: str) -> dict[bytes, int]:
@@ -41,7 +45,6 @@ class Codec:
     def __init__(self, ranks: dict[bytes, int], pattern: str):
         self.ranks, self.pattern = ranks, pattern
         self.width = "<u2" if max(ranks.values(), default=0) < 0xFFFF else "<u4"
-        self.gap = b"\xff" * int(self.width[-1])
 
     def __getstate__(self):
         return self.ranks, self.pattern
@@ -50,8 +53,16 @@ class Codec:
         self.__init__(*state)
 
     def cutter(self):
-        # the pattern's \s means Unicode's White_Space to the reference tokenizer, which regex spells so
-        return regex.compile(self.pattern.replace(r"[^\s", r"[^\p{White_Space}").replace(r"\s", r"\p{White_Space}").replace(r"\S", r"\P{White_Space}"))
+        """Splits a text into pre-tokens. Texts of the first letters of Unicode take a plainer engine, twice as fast, with the same classes spelt out."""
+        # the pattern's \s means Unicode's White_Space to the reference tokenizer
+        space = r"\p{White_Space}"
+        whole = regex.compile(self.pattern.replace(r"[^\s", rf"[^{space}").replace(r"\s", space).replace(r"\S", r"\P{White_Space}")).findall
+        s, letters, digits = (_spelt(x) for x in (space, r"\p{L}", r"\p{N}"))
+        plain = self.pattern.replace(r"[^\s\p{L}\p{N}]", f"[^{s}{letters}{digits}]").replace(r"\p{L}", f"[{letters}]").replace(r"\p{N}", f"[{digits}]").replace(r"\s", f"[{s}]").replace(r"\S", f"[^{s}]")
+        if re.search(r"\\(?!u)", plain):  # the pattern has more classes than these
+            return whole
+        near, far = re.compile(plain).findall, re.compile(f"[^\\u0000-\\u{_NEAR - 1:04x}]").search
+        return lambda text: whole(text) if far(text) else near(text)
 
     def encoder(self):
         import tiktoken
@@ -62,6 +73,24 @@ class Codec:
         return {rank: token for token, rank in self.ranks.items()}
 
 
+def _spelt(of: str) -> str:
+    """The characters of a class among the first of Unicode, as ranges."""
+    codes = [c for c in range(_NEAR) if regex.fullmatch(of, chr(c))]
+    starts = [c for c in codes if c - 1 not in codes]
+    ends = [c for c in codes if c + 1 not in codes]
+    return "".join(f"\\u{a:04x}-\\u{b:04x}" for a, b in zip(starts, ends, strict=True))
+
+
+def _planes(numbers: np.ndarray) -> bytes:
+    """Whole numbers below 2**24 as their lowest bytes, then the next, then the highest: packs better than number by number."""
+    return numbers.astype("<u4").view(np.uint8).reshape(-1, 4)[:, :3].T.tobytes()
+
+
+def _numbers(raw: bytes) -> np.ndarray:
+    planes = np.frombuffer(raw, np.uint8).reshape(3, -1).astype(np.uint32)
+    return planes[0] | planes[1] << 8 | planes[2] << 16
+
+
 def _texts(batch: pa.RecordBatch, name: str) -> list[str]:
     return [x or "" for x in batch.column(name).to_pylist()]
 
@@ -76,7 +105,7 @@ def word_table(docs: DataFrame, codec: Codec, text: str = "text") -> DataFrame:
     shared = docs.sparkSession.sparkContext.broadcast(codec)
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cut = shared.value.cutter().findall
+        cut = shared.value.cutter()
         seen: Counter = Counter()
 
         def out():
@@ -116,24 +145,14 @@ def _assembled(docs: DataFrame, codec: Codec, text: str, key: str, finish, schem
     spark = docs.sparkSession
     words = word_table(docs, codec, text)
     bar = _frequent(words, resident_words)
-    top = words.where(F.col("n") >= bar).select("word", "ids").toArrow()
+    top = words.where(F.col("n") >= bar).select("word", "ids", "n").toArrow().sort_by([("n", "descending"), ("word", "ascending")])
     shared = spark.sparkContext.broadcast((codec, top.column("word").to_pylist(), top.column("ids").to_pylist()))
     texts = docs.select(F.col(key).alias("key"), F.col(text).cast("string").alias("text"))
     names = [x.split(" ")[0] for x in schema.split(", ")]
 
-    def resident(missed: list):
-        codec, keys, ids = shared.value
-
-        class Table(dict):
-            def __missing__(self, word):
-                missed.append(word)
-                return codec.gap
-
-        return codec, Table(zip(keys, ids, strict=True)), codec.cutter().findall
-
     def rare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         _, keys, _ = shared.value
-        held, cut = frozenset(keys), shared.value[0].cutter().findall
+        held, cut = frozenset(keys), shared.value[0].cutter()
         for batch in batches:
             rows: tuple[list, list, list] = ([], [], [])
             for i, value in zip(batch.column("key").to_pylist(), _texts(batch, "text"), strict=True):
@@ -146,33 +165,32 @@ def _assembled(docs: DataFrame, codec: Codec, text: str, key: str, finish, schem
     def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import zstandard
 
-        missed: list = []
-        codec, table, cut = resident(missed)
+        codec, keys, _ = shared.value
+        get, cut = dict(zip(keys, range(len(keys)), strict=True)).get, codec.cutter()
         pack = zstandard.ZstdCompressor(3).compress
         for batch in batches:
             blobs = []
             for value in _texts(batch, "text"):
-                missed.clear()
-                blob = b"".join(map(table.__getitem__, cut(value)))
-                blobs.append((b"+" if missed else b"=") + pack(blob))
+                found = cut(value)
+                blobs.append(pack(_planes(np.fromiter(map(get, found, repeat(_GAP)), np.uint32, len(found)))))
             yield pa.RecordBatch.from_arrays([batch.column("key"), pa.array(blobs, pa.binary())], ["key", "blob"])
 
     def last(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import zstandard
 
         unpack = zstandard.ZstdDecompressor().decompress
-        codec = shared.value[0]
+        codec, _, table = shared.value
         end = finish(codec)
         for batch in batches:
             rows = []
             for blob, filled in zip(batch.column("blob").to_pylist(), batch.column("filled").to_pylist(), strict=True):
-                ids = unpack(blob[1:])
-                if blob[:1] == b"+":
-                    known = np.frombuffer(ids, codec.width)
-                    at = np.flatnonzero(known == np.iinfo(codec.width).max)
-                    size, parts = known.itemsize, [x["ids"] for x in sorted(filled, key=lambda x: x["place"])]
-                    begins, ends = [0, *((at + 1) * size).tolist()], [*(at * size).tolist(), len(ids)]
-                    ids = b"".join(x for pair in zip((ids[a:b] for a, b in zip(begins, ends, strict=True)), [*parts, b""], strict=True) for x in pair)
+                numbers = _numbers(unpack(blob))
+                at = np.flatnonzero(numbers == _GAP)
+                numbers[at] = 0
+                parts = list(map(table.__getitem__, numbers.tolist())) if table else [b""] * len(numbers)
+                for i, x in zip(at.tolist(), sorted(filled or (), key=lambda x: x["place"]), strict=True):
+                    parts[i] = x["ids"]
+                ids = b"".join(parts)
                 rows.append(end(ids))
             if rows:
                 yield pa.RecordBatch.from_pydict({"key": batch.column("key")} | {n: pa.array(c, pa.list_(pa.int32()) if isinstance(c[0], list) else None) for n, c in zip(names, zip(*rows, strict=True), strict=True)})
