@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from .common import connected_components, stash
 
 #: Cosine of a link; tables, buckets a vector looks into in each, and vectors in a block at most.
-COSINE, TABLES, PROBES, BLOCK = 0.93, 10, 5, 2048
+COSINE, TABLES, PROBES, BLOCK = 0.93, 8, 4, 2048
 
 
 def _rotate(x: np.ndarray, signs: np.ndarray) -> np.ndarray:
@@ -94,35 +94,40 @@ def links(firsts: DataFrame, cosine: float = COSINE, tables: int = TABLES, probe
             for dim, part in frame.groupby(frame["vector"].map(len)):
                 x = np.array(part["vector"].tolist(), float)
                 norm = np.sqrt((x / (top := np.abs(x).max(1, keepdims=True))) ** 2 @ np.ones(dim))[:, None] * top
-                x = x / norm
-                found = codes(x, tables, probes)
-                n = len(part)
-                raw = [x[i].tobytes() for i in range(n)]
-                meet = [found[i].astype(np.int32).tobytes() for i in range(n)]
-                for t in range(tables):
-                    for p in range(probes):
-                        yield pa.RecordBatch.from_arrays(
-                            [pa.array(np.full(n, t), pa.int32()), pa.array(found[:, t, p], pa.int64()), pa.array(np.full(n, dim), pa.int32()), pa.array(np.full(n, p == 0), pa.bool_()), pa.array(part["rep"], pa.int64()), pa.array(part["label"].astype(str)), pa.array(part["copies"], pa.int64()), pa.array(raw, pa.binary()), pa.array(meet, pa.binary())],
-                            ["t", "bucket", "dim", "own", "rep", "label", "copies", "vector", "codes"],
-                        )
-
-    schema = "t int, bucket long, dim int, own boolean, rep long, label string, copies long, vector binary, codes binary"
-    placed = firsts.select("rep", "label", "vector", "copies").mapInArrow(place, schema).withColumn("key", F.xxhash64("t", "bucket", "dim", "label"))
-    # a bucket of several blocks is a square of tasks: rows stored in it go to a row of the square, rows probing it to a column
-    crowd = placed.groupBy("key").agg(F.greatest(F.lit(1), F.ceil(F.count("*") / F.lit(2 * block))).cast("int").alias("blocks"), F.count_if("own").alias("stored")).where("stored > 0")
-    spread = placed.join(crowd, "key")
+                found = codes(x / norm, tables, probes).reshape(len(part), -1)
+                single = x.astype(np.float32)
+                raw = [(a if (a == b).all() else b).tobytes() for a, b in zip(single, x, strict=True)]
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(part["rep"], pa.int64()), pa.array(part["label"].astype(str)), pa.array(np.full(len(part), dim), pa.int32()), pa.array(part["copies"], pa.int64()), pa.array(raw, pa.binary()), pa.array(list(found), pa.list_(pa.int64()))],
+                    ["rep", "label", "dim", "copies", "vector", "codes"],
+                )
+
+    held = stash(firsts.select("rep", "label", "vector", "copies").mapInArrow(place, "rep long, label string, dim int, copies long, vector binary, codes array<long>"), "codes")
+    slots = held.select("rep", "label", "dim", F.posexplode("codes").alias("slot", "bucket"))
+    t, own = F.call_function("div", F.col("slot"), F.lit(probes)).cast("int"), F.pmod("slot", F.lit(probes)) == 0
+    slots = slots.select("rep", t.alias("t"), own.alias("own"), F.xxhash64(t, "bucket", "dim", "label").alias("key"))
+    # only buckets in which two meet; one of several blocks is a square of tasks: what is stored in it goes to a row, what looks into it to a column
+    crowd = slots.groupBy("key").agg(F.count("*").alias("n"), F.count_if("own").alias("stored")).where("stored > 0 AND n > 1")
+    spread = slots.join(crowd, "key").select("key", "rep", "t", "own", F.greatest(F.lit(1), F.ceil(F.col("n") / F.lit(2 * block))).cast("int").alias("blocks"))
     mine = F.pmod(F.xxhash64("rep", "t"), F.col("blocks")).cast("int")
     cells = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
-    stored = spread.where("own").select("*", mine.alias("row"), cells.alias("column"), F.lit(True).alias("base"))
-    probing = spread.select("*", cells.alias("row"), mine.alias("column"), F.lit(False).alias("base"))
+    single = spread.where("blocks = 1").select("key", "rep", "t", F.lit(0).alias("row"), F.lit(0).alias("column"), F.col("own").alias("base"), F.lit(True).alias("looks"))
+    several = spread.where("blocks > 1")
+    stored = several.where("own").select("key", "rep", "t", mine.alias("row"), cells.alias("column"), F.lit(True).alias("base"), F.lit(False).alias("looks"))
+    looking = several.select("key", "rep", "t", cells.alias("row"), mine.alias("column"), F.lit(False).alias("base"), F.lit(True).alias("looks"))
+    met = single.union(stored).union(looking).join(held.select("rep", "dim", "copies", "vector", "codes"), "rep")
+
+    def unit(rows: pd.Series, dim: int) -> np.ndarray:
+        x = np.stack([np.frombuffer(r, np.float32 if len(r) == 4 * dim else float).astype(float) for r in rows]) if len(rows) else np.zeros((0, dim))
+        top = np.abs(x).max(1, keepdims=True, initial=0)
+        return x / (np.sqrt(((x / np.maximum(top, 1e-300)) ** 2).sum(1, keepdims=True)) * top + (top == 0))
 
     def compare(key, group: pd.DataFrame) -> pd.DataFrame:
         t, dim = int(group["t"].iloc[0]), int(group["dim"].iloc[0])
-        base = group["base"].to_numpy()
         sides = []
-        for side in (base, ~base):
-            x = np.frombuffer(b"".join(group["vector"][side]), float).reshape(-1, dim)
-            sides.append((group["rep"].to_numpy()[side], group["copies"].to_numpy()[side], x, np.frombuffer(b"".join(group["codes"][side]), np.int32).reshape(len(x), tables, probes)))
+        for side in (group["base"].to_numpy(), group["looks"].to_numpy()):
+            part = group[side]
+            sides.append((part["rep"].to_numpy(), part["copies"].to_numpy(), unit(part["vector"], dim), np.array(part["codes"].tolist(), np.int64).reshape(len(part), tables, probes)))
         (ra, na, xa, ca), (rb, nb, xb, cb) = sides
         left, right = [], []
         for i in range(0, len(ra), 512):
@@ -154,7 +159,7 @@ def links(firsts: DataFrame, cosine: float = COSINE, tables: int = TABLES, probe
                 break
         return pd.DataFrame({"rep": ids, "links": count.astype(np.int64), "parent": ids[parent]})
 
-    return stored.union(probing).groupBy("key", "row", "column").applyInPandas(compare, "rep long, links long, parent long")
+    return met.groupBy("key", "row", "column").applyInPandas(compare, "rep long, links long, parent long")
 
 
 def near_duplicates(vectors: DataFrame, key: str = "vec_id", embedding: str = "embedding", label: str = "label", cosine: float = COSINE, **how) -> DataFrame:
