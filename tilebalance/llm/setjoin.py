@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import connected_components, stash
+from .common import connected_components, partitions, stash
 from .textkit import chunks, mixed, windows_hash, word_hashes
 
 #: Cells of the frequency table (a power of two), cells in a row of it, members of a group that are compared together.
@@ -156,19 +156,23 @@ def linked(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int = 3,
     headed = texts.join(marked, "key").select("key", "text", F.col("group").isNotNull().alias("grouped"), "group")
     headed = stash(headed.mapInArrow(prefixes, f"key long, n long, head array<long>, tokens binary, {kind}"), "heads")
 
-    def lead(group: pd.DataFrame) -> pd.DataFrame:
-        group = group.sort_values("key")
-        keys, found = group["key"].tolist(), [_unpack(x) for x in group["tokens"]]
-        leaders: list[int] = []
+    def lead(frame: pd.DataFrame) -> pd.DataFrame:
         out = []
-        for i, tokens in enumerate(found):
-            hit = _links(tokens, [found[j] for j in leaders], percent)
-            out.extend((keys[i], keys[leaders[k]]) for k in np.flatnonzero(hit))
-            if not hit.any():
-                leaders.append(i)
+        for _, group in frame.groupby(["least", "part"], sort=False):
+            group = group.sort_values("key")
+            keys, found = group["key"].tolist(), [_unpack(x) for x in group["tokens"]]
+            leaders: list[int] = []
+            for i, tokens in enumerate(found):
+                hit = _links(tokens, [found[j] for j in leaders], percent)
+                out.extend((keys[i], keys[leaders[k]]) for k in np.flatnonzero(hit))
+                if not hit.any():
+                    leaders.append(i)
         return pd.DataFrame(out, columns=["a", "b"])
 
-    near = stash(headed.where("group is not null").select("key", "tokens", "group").groupBy("group").applyInPandas(lead, "a long, b long"), "leaders")
+    # many small groups share a frame; its size is bounded by the number of shares
+    alike_rows = headed.where("group is not null").select("key", "tokens", "group.least", "group.part")
+    shares = 8 * partitions(spark)
+    near = stash(alike_rows.withColumn("share", F.pmod(F.xxhash64("least", "part"), F.lit(shares))).groupBy("share").applyInPandas(lead, "a long, b long"), "leaders")
     groups = stash(connected_components(near), "groups")
     # the matrix: a group is what is known to be linked, in parts of bounded size
     heads = headed.join(groups.withColumnRenamed("node", "key"), "key", "left").select("key", "n", "head", F.coalesce("component", "key").alias("of"))
@@ -180,10 +184,14 @@ def linked(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int = 3,
     short, long = F.greatest(F.col("g.shortest"), F.ceil(F.col("q.n") * percent / 100)), F.least(F.col("g.longest"), F.floor(F.col("q.n") * 100 / percent))
     least = F.ceil(percent * (F.col("q.n") + short) / (100 + percent) - 1e-9)
     rest = F.least(F.col("q.n") - F.col("q.place"), F.col("g.rest"))
+    # of the prefixes, two sets share at least what their overlap needs beyond the longer of their remainders; over the
+    # sizes that a group may have, that is least at the ends of their range
+    beyond = lambda x: F.ceil(percent * (F.col("q.n") + x) / (100 + percent) - 1e-9) - F.ceil(F.greatest(F.col("q.n"), x) * percent / 100 - 1e-9) + 1
     bound = (F.col("q.token") == F.col("g.token")) & (F.col("q.of") > F.col("g.of")) & (short <= long)
-    opened = q.join(g, bound).where(rest >= least).select(F.col("q.key").alias("query"), F.col("g.of").alias("of")).distinct()
+    met = q.join(g, bound).select(F.col("q.key").alias("query"), F.col("g.of").alias("of"), (rest - least).alias("slack"), F.least(beyond(short), beyond(long)).alias("need"))
+    opened = met.groupBy("query", "of").agg(F.count("*").alias("k"), F.max("slack").alias("slack"), F.min("need").alias("need")).where("slack >= 0 AND k >= need").select("query", "of")
     opened = stash(opened, "opened")
-    # only members with as many words and, among their foremost tokens, one of the query's
+    # a group of many members is opened in parts, each with all of its queries
     members_of = headed.join(groups.withColumnRenamed("node", "key"), "key", "left").select("key", "n", "head", F.coalesce("component", "key").alias("of"))
     wanted = opened.select(F.col("query").alias("key")).union(members_of.join(opened.select("of").distinct(), "of", "left_semi").select("key")).distinct()
     small = texts.join(wanted, "key")
@@ -195,22 +203,26 @@ def linked(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int = 3,
                 yield pa.RecordBatch.from_arrays([pa.array([i for i, _ in part], pa.int64()), pa.array([_pack(x) for x in found], pa.binary())], ["key", "tokens"])
 
     held = stash(small.mapInArrow(packed, "key long, tokens binary"), "held")
-    inside = held.join(members_of.select("key", "of"), "key").join(opened.select("of").distinct(), "of", "left_semi")
-    inside = inside.select("of", F.pmod(F.xxhash64("key"), F.lit(16)).cast("int").alias("part"), "key", "tokens", F.lit(False).alias("asks"))
-    asking = opened.join(held.withColumnRenamed("key", "query"), "query").select("of", F.explode(F.sequence(F.lit(0), F.lit(15))).alias("part"), F.col("query").alias("key"), "tokens", F.lit(True).alias("asks"))
-
-    def open_(group: pd.DataFrame) -> pd.DataFrame:
-        asks = group["asks"].to_numpy()
-        keys = group["key"].to_numpy()[~asks]
-        found = [_unpack(x) for x in group["tokens"][~asks]]
+    sizes = members_of.select("of").join(opened.select("of").distinct(), "of", "left_semi").groupBy("of").agg(F.ceil(F.count("*") / block).cast("int").alias("parts"))
+    inside = held.join(members_of.select("key", "of"), "key").join(sizes, "of")
+    # groups of few members share a task's frame
+    inside = inside.select("of", F.pmod(F.xxhash64("key"), F.col("parts")).cast("int").alias("part"), "key", "tokens", F.lit(False).alias("asks"))
+    asking = opened.join(sizes, "of").join(held.withColumnRenamed("key", "query"), "query").select("of", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.col("query").alias("key"), "tokens", F.lit(True).alias("asks"))
+
+    def open_(frame: pd.DataFrame) -> pd.DataFrame:
         out = []
-        for query, raw in zip(group["key"][asks], group["tokens"][asks], strict=True):
-            hit = _links(_unpack(raw), found, percent)
-            if hit.any():  # the members of a group are linked already
-                out.append((query, keys[hit.argmax()]))
+        for _, group in frame.groupby(["of", "part"], sort=False):
+            asks = group["asks"].to_numpy()
+            keys = group["key"].to_numpy()[~asks]
+            found = [_unpack(x) for x in group["tokens"][~asks]]
+            for query, raw in zip(group["key"][asks], group["tokens"][asks], strict=True):
+                hit = _links(_unpack(raw), found, percent)
+                if hit.any():  # the members of a group are linked already
+                    out.append((query, keys[hit.argmax()]))
         return pd.DataFrame(out, columns=["a", "b"])
 
-    late = stash(inside.union(asking).groupBy("of", "part").applyInPandas(open_, "a long, b long"), "late")
+    together = inside.union(asking).withColumn("share", F.pmod(F.xxhash64("of", "part"), F.lit(shares)))
+    late = stash(together.groupBy("share").applyInPandas(open_, "a long, b long"), "late")
     return members, groups.select(F.col("node").alias("a"), F.col("component").alias("b")).union(late)
 
 
