@@ -18,7 +18,7 @@ def _rows(first: int, last: int, n: int, lx: int, ly: int, v0: int) -> dict[str,
 
 
 class TwoStream(DataSource):
-    """Options: n, lx, ly, v0, parts; for streams, rows per batch."""
+    """Options: n, lx, ly, v0, parts; for streams, rows per batch; pushdown=1 where the session has spark.sql.python.filterPushdown.enabled."""
 
     @classmethod
     def name(cls) -> str:
@@ -29,10 +29,11 @@ class TwoStream(DataSource):
 
     def _numbers(self) -> dict[str, int]:
         asked = {k.lower(): int(v) for k, v in self.options.items()}
-        return {"n": 1000, "lx": 1 << 20, "ly": 1 << 20, "v0": 1 << 12, "parts": 8, "rows": 100} | asked
+        return {"n": 1000, "lx": 1 << 20, "ly": 1 << 20, "v0": 1 << 12, "parts": 8, "rows": 100, "pushdown": 0} | asked
 
     def reader(self, schema):
-        return TwoStreamReader(self._numbers())
+        how = self._numbers()
+        return PushedReader(how) if how["pushdown"] else TwoStreamReader(how)
 
     def simpleStreamReader(self, schema):
         return TwoStreamBatches(self._numbers())
@@ -49,19 +50,6 @@ class TwoStreamReader(DataSourceReader):
     def __init__(self, how: dict[str, int]):
         self.how, self.low, self.high, self.species = how, 0, how["n"], None
 
-    def pushFilters(self, filters) -> Iterator:
-        n, lx = self.how["n"], self.how["lx"]
-        slack = lx // 1000 + 1
-        for f in filters:
-            if isinstance(f, GreaterThanOrEqual) and f.attribute == ("x",) and slack <= f.value < lx - slack:
-                self.low = max(self.low, int((f.value - slack) * n // lx))
-            elif isinstance(f, LessThan) and f.attribute == ("x",) and slack < f.value <= lx - slack:
-                # a particle near the start may be thrown to the far end, never the other way
-                self.high = min(self.high, int((f.value + slack) * n // lx) + 1)
-            elif isinstance(f, EqualTo) and f.attribute == ("species",):
-                self.species = f.value
-            yield f  # spans only narrow what is made; Spark still tests every row
-
     def partitions(self) -> list[Span]:
         k = max(1, self.how["parts"])
         wide = max(0, self.high - self.low)
@@ -77,6 +65,21 @@ class TwoStreamReader(DataSourceReader):
             yield pa.RecordBatch.from_pydict({k: pa.array(v, pa.int64()) for k, v in columns.items()})
 
 
+class PushedReader(TwoStreamReader):
+    def pushFilters(self, filters) -> Iterator:
+        n, lx = self.how["n"], self.how["lx"]
+        slack = lx // 1000 + 1
+        for f in filters:
+            if isinstance(f, GreaterThanOrEqual) and f.attribute == ("x",) and slack <= f.value < lx - slack:
+                self.low = max(self.low, int((f.value - slack) * n // lx))
+            elif isinstance(f, LessThan) and f.attribute == ("x",) and slack < f.value <= lx - slack:
+                # a particle near the start may be thrown to the far end, never the other way
+                self.high = min(self.high, int((f.value + slack) * n // lx) + 1)
+            elif isinstance(f, EqualTo) and f.attribute == ("species",):
+                self.species = f.value
+            yield f  # spans only narrow what is made; Spark still tests every row
+
+
 class TwoStreamBatches(SimpleDataSourceStreamReader):
     def __init__(self, how: dict[str, int]):
         self.how = how

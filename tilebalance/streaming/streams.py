@@ -87,7 +87,7 @@ class OwnerLoad(StatefulProcessor):
 
 def owner_loads(stream: DataFrame) -> DataFrame:
     """(owner, load, signal) of an owned stream, as it changes; state lives in the session's state store."""
-    return stream.groupBy(F.col("pid").alias("owner")).transformWithStateInPandas(OwnerLoad(), "owner long, load long, signal boolean", "Update", "None")
+    return stream.withColumnRenamed("pid", "owner").groupBy("owner").transformWithStateInPandas(OwnerLoad(), "owner long, load long, signal boolean", "Update", "None")
 
 
 class Rebalancer:
