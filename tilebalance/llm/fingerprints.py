@@ -28,15 +28,14 @@ def _hashes(words: Column, n: int) -> Column:
     return F.when(F.size(words) >= n, runs).when(F.size(words) > 0, F.array(F.xxhash64(words))).otherwise(F.array().cast("array<bigint>"))
 
 
-def _walk(b: Column, bins: int) -> tuple[Column, Column, Column]:
-    """Start and odd stride of a bin's walk through all bins, and the stride's inverse modulo bins, a power of two up to 2**16."""
-    wide = b.cast("long")
-    start = F.pmod(F.shiftright(wide * 2654435761, 7), F.lit(bins))
-    stride = F.pmod(F.shiftright(wide * 2246822519, 9), F.lit(bins // 2)) * 2 + 1
-    inverse = stride
-    for _ in range(4):  # each step doubles the right bits
-        inverse = F.pmod(inverse * (2 - stride * inverse), F.lit(bins))
-    return start, stride, inverse
+def _table(values) -> Column:
+    """A constant array."""
+    return F.expr("array(" + ", ".join(repr(v) for v in values) + ")")
+
+
+def _walks(bins: int) -> tuple[list[int], list[int]]:
+    """Start and odd stride of each bin's walk through all bins, by a fixed rule."""
+    return [(b * 2654435761 >> 7) % bins for b in range(bins)], [(b * 2246822519 >> 9) % (bins // 2) * 2 + 1 for b in range(bins)]
 
 
 def fingerprinted(rows: DataFrame, text: str, to: str, shingle: int = SHINGLE, bins: int = BINS, digits: int = DIGITS) -> DataFrame:
@@ -58,31 +57,41 @@ def fingerprinted(rows: DataFrame, text: str, to: str, shingle: int = SHINGLE, b
     filled = F.filter(F.sequence(F.lit(0), F.lit(bins - 1)), lambda b: F.get("_values", place(b)).isNotNull())
     rows = rows.withColumn("_filled", F.when(F.exists("_values", lambda v: v.isNull()), filled))
 
+    starts, strides = _walks(bins)
+    first, inverse = _table(starts), _table([pow(x, -1, bins) for x in strides])
+    steps = [_table([(a + k * x) % bins for a, x in zip(starts, strides, strict=True)]) for k in range(_WALK)]
+
     def dense(b: Column) -> Column:
-        start, stride, inverse = _walk(b, bins)
-        at = [F.get("_values", place(F.pmod(start + k * stride, F.lit(bins)))) for k in range(_WALK)]
-        # the filled bin that stands first on the walk
-        first = F.array_min(F.transform("_filled", lambda j: F.pmod((j - start) * inverse, F.lit(bins)) * bins + j))
-        return F.coalesce(F.get("_values", place(b)), *at, F.when(F.size("_filled") > 0, F.get("_values", place(F.pmod(first, F.lit(bins))))))
+        at = [F.get("_values", place(F.get(step, b))) for step in steps]
+        # the filled bin that stands first on the walk: at step (j - start) / stride
+        turn = F.array_min(F.transform("_filled", lambda j: F.pmod((j - F.get(first, b)) * F.get(inverse, b), F.lit(bins)) * bins + j))
+        return F.coalesce(F.get("_values", place(b)), *at, F.when(F.size("_filled") > 0, F.get("_values", place(F.pmod(turn, F.lit(bins))))))
 
-    packed = F.array_join(F.transform(F.sequence(F.lit(0), F.lit(bins - 1)), lambda b: F.lpad(F.lower(F.hex(dense(b))), digits, "0")), "")
+    written = _table([f"{v:0{digits}x}" for v in range(16**digits)])
+    packed = F.array_join(F.transform(F.sequence(F.lit(0), F.lit(bins - 1)), lambda b: F.get(written, dense(b))), "")
     return rows.withColumn(to, F.when(F.col("_values").isNull(), F.lit("")).otherwise(packed)).drop("_values", "_filled")
 
 
-def likeness(a: Column, b: Column, digits: int = DIGITS) -> Column:
-    """Estimated Jaccard likeness of two fingerprints, from 0 to 1."""
-    n = F.length(a) / digits
-    same = F.size(F.filter(F.sequence(F.lit(0), n.cast("int") - 1), lambda i: F.substring(a, i * digits + 1, F.lit(digits)) == F.substring(b, i * digits + 1, F.lit(digits))))
-    chance = 16.0**-digits
-    share = F.greatest(F.lit(0.0), (same / n - chance) / (1 - chance))
-    return F.when((F.length(a) == 0) | (F.length(b) == 0), F.when(F.length(a) == F.length(b), 1.0).otherwise(0.0)).otherwise(share)
+def with_likeness(rows: DataFrame, pairs: dict[str, tuple[str, str]], digits: int = DIGITS) -> DataFrame:
+    """rows with the estimated Jaccard likeness, from 0 to 1, of pairs of fingerprint columns; digits are 2 or 4."""
+    names = sorted({c for pair in pairs.values() for c in pair})
+    raw = rows.withColumns({f"_raw_{c}": F.unhex(c) for c in names})  # places in bytes are found at once, in text by counting
+    step, chance = digits // 2, 16.0**-digits
+    out = {}
+    for to, (a, b) in pairs.items():
+        x, y = F.col(f"_raw_{a}"), F.col(f"_raw_{b}")
+        n = F.length(x) / step
+        same = F.size(F.filter(F.sequence(F.lit(0), n.cast("int") - 1), lambda i: F.substring(x, i * step + 1, F.lit(step)) == F.substring(y, i * step + 1, F.lit(step))))  # noqa: B023
+        share = F.least(F.lit(1.0), F.greatest(F.lit(0.0), (same / n - chance) / (1 - chance)))
+        out[to] = F.when((F.length(a) == 0) | (F.length(b) == 0), F.when(F.length(a) == F.length(b), 1.0).otherwise(0.0)).otherwise(share)
+    return raw.withColumns(out).drop(*[f"_raw_{c}" for c in names])
 
 
-def with_next(rows: DataFrame, key: str, columns: dict[str, str]) -> DataFrame:
+def with_next(rows: DataFrame, key: str, columns: dict[str, str], made=lambda df: df) -> DataFrame:
     """rows with columns of the row of the next key, and after the last of the first; keys are unique.
 
     Rows are dealt out once, by ranges of keys whose bounds are quantiles; the first row of a range follows
-    the last of the range before."""
+    the last of the range before. made: adds columns after that first row is found, and before rows are dealt out."""
     n = 4 * partitions(rows.sparkSession)
     cuts = sorted(set(rows.agg(F.percentile_approx(key, [i / n for i in range(1, n)], 10_000)).first()[0] or []))
     ladder = F.array(*[F.lit(c) for c in cuts]) if cuts else F.array().cast("array<bigint>")
@@ -91,7 +100,7 @@ def with_next(rows: DataFrame, key: str, columns: dict[str, str]) -> DataFrame:
     by_span, whole = Window.orderBy("_span"), Window.partitionBy()
     heads = ranged.groupBy("_span").agg(F.min(key).alias(key)).select(key, F.coalesce(F.lag("_span").over(by_span), F.max("_span").over(whole)).alias("_span"))
     ends = rows.join(F.broadcast(heads), key)  # as many rows as ranges
-    both = ranged.withColumn("_ghost", F.lit(False)).unionByName(ends.withColumn("_ghost", F.lit(True)))
+    both = made(ranged.withColumn("_ghost", F.lit(False)).unionByName(ends.withColumn("_ghost", F.lit(True))))
     order = Window.partitionBy("_span").orderBy("_ghost", key)
     took = both.select("*", *[F.lead(c).over(order).alias(to) for c, to in columns.items()])
     return took.where("not _ghost").drop("_ghost", "_span")
@@ -103,8 +112,8 @@ def compared(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFr
     The edited text has its last floor(n/2) code points replaced by as many of the next row's first, or all of them."""
     rows = docs.select(F.col(key).alias("_key"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("_text"))
     half = F.floor(F.length("_text") / 2).cast("int")
-    rows = with_next(fingerprinted(rows, "_text", "fingerprint"), "_key", {"_text": "_other", "fingerprint": "_mark"})
+    rows = with_next(rows, "_key", {"_text": "_other", "fingerprint": "_mark"}, lambda df: fingerprinted(df, "_text", "fingerprint"))
     edited = F.concat(F.substring("_text", F.lit(1), F.length("_text") - half), F.substring("_other", F.lit(1), half))
     rows = rows.select("_key", F.length("_text").cast("long").alias("n_chars"), "fingerprint", "_mark", edited.alias("_edited")).withColumn("edited_sha256", F.sha2("_edited", 256))
-    rows = fingerprinted(rows, "_edited", "edited_fingerprint")
-    return rows.select(F.col("_key").alias(key), "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", likeness(F.col("fingerprint"), F.col("edited_fingerprint")).alias("near_edited"), likeness(F.col("fingerprint"), F.col("_mark")).alias("near_next"))
+    rows = with_likeness(fingerprinted(rows, "_edited", "edited_fingerprint"), {"near_edited": ("fingerprint", "edited_fingerprint"), "near_next": ("fingerprint", "_mark")})
+    return rows.select(F.col("_key").alias(key), "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next")
