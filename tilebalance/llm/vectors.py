@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import connected_components, stash
+from .common import connected_components, partitions, stash
 
 #: Cosine of a link; tables, buckets a vector looks into in each, and vectors in a block at most.
 COSINE, TABLES, PROBES, BLOCK = 0.93, 8, 4, 2048
@@ -98,11 +98,11 @@ def links(firsts: DataFrame, cosine: float = COSINE, tables: int = TABLES, probe
                 single = x.astype(np.float32)
                 raw = [(a if (a == b).all() else b).tobytes() for a, b in zip(single, x, strict=True)]
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(part["rep"], pa.int64()), pa.array(part["label"].astype(str)), pa.array(np.full(len(part), dim), pa.int32()), pa.array(part["copies"], pa.int64()), pa.array(raw, pa.binary()), pa.array(list(found), pa.list_(pa.int64()))],
-                    ["rep", "label", "dim", "copies", "vector", "codes"],
+                    [pa.array(part["rep"], pa.int64()), pa.array(part["label"].astype(str)), pa.array(np.full(len(part), dim), pa.int32()), pa.array(part["copies"], pa.int64()), pa.array(raw, pa.binary()), pa.array(list(found), pa.list_(pa.int64())), pa.array([f.astype(np.int32).tobytes() for f in found], pa.binary())],
+                    ["rep", "label", "dim", "copies", "vector", "codes", "packed"],
                 )
 
-    held = stash(firsts.select("rep", "label", "vector", "copies").mapInArrow(place, "rep long, label string, dim int, copies long, vector binary, codes array<long>"), "codes")
+    held = stash(firsts.select("rep", "label", "vector", "copies").mapInArrow(place, "rep long, label string, dim int, copies long, vector binary, codes array<long>, packed binary"), "codes")
     slots = held.select("rep", "label", "dim", F.posexplode("codes").alias("slot", "bucket"))
     t, own = F.call_function("div", F.col("slot"), F.lit(probes)).cast("int"), F.pmod("slot", F.lit(probes)) == 0
     slots = slots.select("rep", t.alias("t"), own.alias("own"), F.xxhash64(t, "bucket", "dim", "label").alias("key"))
@@ -115,39 +115,50 @@ def links(firsts: DataFrame, cosine: float = COSINE, tables: int = TABLES, probe
     several = spread.where("blocks > 1")
     stored = several.where("own").select("key", "rep", "t", mine.alias("row"), cells.alias("column"), F.lit(True).alias("base"), F.lit(False).alias("looks"))
     looking = several.select("key", "rep", "t", cells.alias("row"), mine.alias("column"), F.lit(False).alias("base"), F.lit(True).alias("looks"))
-    met = single.union(stored).union(looking).join(held.select("rep", "dim", "copies", "vector", "codes"), "rep")
+    met = single.union(stored).union(looking).join(held.select("rep", "dim", "copies", "vector", "packed"), "rep")
 
     def unit(rows: pd.Series, dim: int) -> np.ndarray:
         x = np.stack([np.frombuffer(r, np.float32 if len(r) == 4 * dim else float).astype(float) for r in rows]) if len(rows) else np.zeros((0, dim))
         top = np.abs(x).max(1, keepdims=True, initial=0)
         return x / (np.sqrt(((x / np.maximum(top, 1e-300)) ** 2).sum(1, keepdims=True)) * top + (top == 0))
 
-    def compare(key, group: pd.DataFrame) -> pd.DataFrame:
-        t, dim = int(group["t"].iloc[0]), int(group["dim"].iloc[0])
-        sides = []
-        for side in (group["base"].to_numpy(), group["looks"].to_numpy()):
-            part = group[side]
-            sides.append((part["rep"].to_numpy(), part["copies"].to_numpy(), unit(part["vector"], dim), np.array(part["codes"].tolist(), np.int64).reshape(len(part), tables, probes)))
-        (ra, na, xa, ca), (rb, nb, xb, cb) = sides
-        left, right = [], []
-        for i in range(0, len(ra), 512):
-            near = np.argwhere(xa[i : i + 512] @ xb.T >= cosine)
-            a, b = near[:, 0] + i, near[:, 1]
-            other = ra[a] != rb[b]
+    def pairs(t: int, base: np.ndarray, looks: np.ndarray, x: np.ndarray, rep: np.ndarray, code: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """Linked rows of one bucket that count in table t: in the first where they meet, from the side of the smaller id if either looks at the other."""
+        for i in range(0, len(base), 512):
+            near = x[base[i : i + 512]] @ x[looks].T >= cosine
+            if not near.any():
+                continue
+            a, b = np.nonzero(near)
+            a, b = base[i + a], looks[b]
+            other = rep[a] != rep[b]
             a, b = a[other], b[other]
-            for j in range(0, len(a), 200_000):  # a pair counts in the first table where it meets, from the side of the smaller id if both meet there
+            for j in range(0, len(a), 200_000):
                 p, q = a[j : j + 200_000], b[j : j + 200_000]
-                forth, back = _meetings(ca[p], cb[q]), _meetings(cb[q], ca[p])
-                first = (forth | back).argmax(1) == t
-                here = first & ((ra[p] < rb[q]) | ~back[:, t])
-                left.append(p[here])
-                right.append(q[here])
-        a, b = np.concatenate([*left, np.zeros(0, int)]).astype(int), np.concatenate([*right, np.zeros(0, int)]).astype(int)
-        if not len(a):
+                forth, back = _meetings(code[p], code[q]), _meetings(code[q], code[p])
+                here = ((forth | back).argmax(1) == t) & ((rep[p] < rep[q]) | ~back[:, t])
+                yield p[here], q[here]
+
+    def compare(frame: pd.DataFrame) -> pd.DataFrame:
+        left, right = [], []
+        frame = frame.sort_values(["dim", "key", "row", "column"], ignore_index=True)
+        for dim, part in frame.groupby("dim", sort=False):
+            rep, base, looks, t = (part[c].to_numpy() for c in ("rep", "base", "looks", "t"))
+            x = unit(part["vector"], int(dim))
+            code = np.frombuffer(b"".join(part["packed"]), np.int32).reshape(len(part), tables, probes)
+            place = part[["key", "row", "column"]].to_numpy()
+            starts = np.flatnonzero(np.concatenate([[True], (place[1:] != place[:-1]).any(1)]))
+            for a, b in zip(starts.tolist(), [*starts[1:].tolist(), len(part)], strict=True):
+                if b - a > 1:
+                    for p, q in pairs(int(t[a]), a + np.flatnonzero(base[a:b]), a + np.flatnonzero(looks[a:b]), x, rep, code):
+                        left.append(part.index.to_numpy()[p])
+                        right.append(part.index.to_numpy()[q])
+        if not left:
             return pd.DataFrame({"rep": [], "links": [], "parent": []})
-        ids, at = np.unique(np.concatenate([ra[a], rb[b]]), return_inverse=True)
+        a, b = np.concatenate(left), np.concatenate(right)
+        rep, copies = frame["rep"].to_numpy(), frame["copies"].to_numpy()
+        ids, at = np.unique(np.concatenate([rep[a], rep[b]]), return_inverse=True)
         i, j = at[: len(a)], at[len(a) :]
-        count = np.bincount(i, nb[b], len(ids)) + np.bincount(j, na[a], len(ids))
+        count = np.bincount(i, copies[b], len(ids)) + np.bincount(j, copies[a], len(ids))
         parent = np.arange(len(ids))
         while True:
             before = parent.copy()
@@ -159,7 +170,9 @@ def links(firsts: DataFrame, cosine: float = COSINE, tables: int = TABLES, probe
                 break
         return pd.DataFrame({"rep": ids, "links": count.astype(np.int64), "parent": ids[parent]})
 
-    return met.groupBy("key", "row", "column").applyInPandas(compare, "rep long, links long, parent long")
+    # many buckets of few vectors share a frame
+    shares = 8 * partitions(firsts.sparkSession)
+    return met.withColumn("share", F.pmod(F.xxhash64("key", "row", "column"), F.lit(shares))).groupBy("share").applyInPandas(compare, "rep long, links long, parent long")
 
 
 def near_duplicates(vectors: DataFrame, key: str = "vec_id", embedding: str = "embedding", label: str = "label", cosine: float = COSINE, **how) -> DataFrame:
