@@ -91,6 +91,8 @@ class Model:
         for k, (runs, contexts) in enumerate(_runs(codes, at, self.order), 1):
             keys, weights = self.tables[k - 1]
             above, totals, kinds = self.followed[k - 1]
+            if not len(keys):
+                continue
             near, hit = _find(keys, runs)
             up, known = _find(above, contexts)
             for c in (0, 1):
