@@ -188,12 +188,38 @@ def linked(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int = 3,
     # sizes that a group may have, that is least at the ends of their range
     beyond = lambda x: F.ceil(percent * (F.col("q.n") + x) / (100 + percent) - 1e-9) - F.ceil(F.greatest(F.col("q.n"), x) * percent / 100 - 1e-9) + 1
     bound = (F.col("q.token") == F.col("g.token")) & (F.col("q.of") > F.col("g.of")) & (short <= long)
-    met = q.join(g, bound).select(F.col("q.key").alias("query"), F.col("g.of").alias("of"), (rest - least).alias("slack"), F.least(beyond(short), beyond(long)).alias("need"))
-    opened = met.groupBy("query", "of").agg(F.count("*").alias("k"), F.max("slack").alias("slack"), F.min("need").alias("need")).where("slack >= 0 AND k >= need").select("query", "of")
+    # where they meet first, no more than what is left of both can be common
+    met = q.join(g, bound).where(rest >= least).groupBy(F.col("q.key").alias("query"), F.col("g.of").alias("of")).agg(F.min(F.least(beyond(short), beyond(long))).alias("need"))
+    met = stash(met, "met")
+    # each group's union, in parts of bounded size, against the foremost tokens of those that met it
+    members_of = headed.join(groups.withColumnRenamed("node", "key"), "key", "left").select("key", "head", F.coalesce("component", "key").alias("of"))
+    members_of = members_of.join(met.select("of").distinct(), "of", "left_semi")
+    sizes = members_of.groupBy("of").agg(F.ceil(F.count("*") / block).cast("int").alias("parts"))
+    part = F.pmod(F.xxhash64("key"), F.col("parts")).cast("int").alias("part")
+    each = F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part")
+    share = F.pmod(F.xxhash64("of", "part"), F.lit(shares)).alias("share")
+    united = members_of.join(sizes, "of").select("of", part, F.lit(-1).cast("long").alias("query"), "head", F.lit(-1).cast("long").alias("need"))
+    heads = headed.select(F.col("key").alias("query"), "head")
+    bounded = met.join(sizes, "of").join(heads, "query").select("of", each, "query", "head", "need")
+
+    def qualify(frame: pd.DataFrame) -> pd.DataFrame:
+        out = []
+        for (of, k), group in frame.groupby(["of", "part"], sort=False):
+            own = group["need"].to_numpy() < 0
+            union = np.unique(np.concatenate(group["head"][own].tolist() or [np.zeros(0, np.int64)]))
+            asked = group[~own]
+            if len(asked) and len(union):
+                lengths = asked["head"].map(len).to_numpy()
+                every = np.concatenate(asked["head"].tolist())
+                hit = union[np.minimum(np.searchsorted(union, every), len(union) - 1)] == every
+                common = np.bincount(np.repeat(np.arange(len(asked)), lengths), hit, len(asked))
+                out.extend((q, of, k) for q in asked["query"].to_numpy()[common >= asked["need"].to_numpy()])
+        return pd.DataFrame(out, columns=["query", "of", "part"])
+
+    opened = united.union(bounded).withColumn("share", share).groupBy("share").applyInPandas(qualify, "query long, of long, part int")
     opened = stash(opened, "opened")
-    # a group of many members is opened in parts, each with all of its queries
-    members_of = headed.join(groups.withColumnRenamed("node", "key"), "key", "left").select("key", "n", "head", F.coalesce("component", "key").alias("of"))
-    wanted = opened.select(F.col("query").alias("key")).union(members_of.join(opened.select("of").distinct(), "of", "left_semi").select("key")).distinct()
+    inside = members_of.select("of", "key").join(sizes, "of").select("of", part, "key").join(opened.select("of", "part").distinct(), ["of", "part"], "left_semi")
+    wanted = opened.select(F.col("query").alias("key")).union(inside.select("key")).distinct()
     small = texts.join(wanted, "key")
 
     def packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -203,11 +229,8 @@ def linked(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int = 3,
                 yield pa.RecordBatch.from_arrays([pa.array([i for i, _ in part], pa.int64()), pa.array([_pack(x) for x in found], pa.binary())], ["key", "tokens"])
 
     held = stash(small.mapInArrow(packed, "key long, tokens binary"), "held")
-    sizes = members_of.select("of").join(opened.select("of").distinct(), "of", "left_semi").groupBy("of").agg(F.ceil(F.count("*") / block).cast("int").alias("parts"))
-    inside = held.join(members_of.select("key", "of"), "key").join(sizes, "of")
-    # groups of few members share a task's frame
-    inside = inside.select("of", F.pmod(F.xxhash64("key"), F.col("parts")).cast("int").alias("part"), "key", "tokens", F.lit(False).alias("asks"))
-    asking = opened.join(sizes, "of").join(held.withColumnRenamed("key", "query"), "query").select("of", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.col("query").alias("key"), "tokens", F.lit(True).alias("asks"))
+    inside = inside.join(held, "key").select("of", "part", "key", "tokens", F.lit(False).alias("asks"))
+    asking = opened.join(held.withColumnRenamed("key", "query"), "query").select("of", "part", F.col("query").alias("key"), "tokens", F.lit(True).alias("asks"))
 
     def open_(frame: pd.DataFrame) -> pd.DataFrame:
         out = []
@@ -221,7 +244,7 @@ def linked(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int = 3,
                     out.append((query, keys[hit.argmax()]))
         return pd.DataFrame(out, columns=["a", "b"])
 
-    together = inside.union(asking).withColumn("share", F.pmod(F.xxhash64("of", "part"), F.lit(shares)))
+    together = inside.union(asking).withColumn("share", share)
     late = stash(together.groupBy("share").applyInPandas(open_, "a long, b long"), "late")
     return members, groups.select(F.col("node").alias("a"), F.col("component").alias("b")).union(late)
 
