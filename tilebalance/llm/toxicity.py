@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 from .textkit import chunks, mixed, powers
 
 #: Labelled rows of each class used for fitting at most; letters in the longest run; shared orders; discount; word types a task keeps.
-BOUND, ORDER, SHARED, DISCOUNT, KEPT = 4_000, 6, 2, 1.0, 1_500_000
+BOUND, ORDER, SHARED, DISCOUNT, KEPT = 4_000, 6, 2, 1.0, 600_000
 _LETTERS = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -118,8 +118,8 @@ def _features(texts: list[str], model: Model, known: dict[str, float]) -> np.nda
     if len(known) + len(fresh) > KEPT:
         known.clear()
         fresh = list({w for words in split for w in words})
-    for i in range(0, len(fresh), 200_000):
-        part = fresh[i : i + 200_000]
+    for i in range(0, len(fresh), 50_000):
+        part = fresh[i : i + 50_000]
         known.update(zip(part, model.evidence(part).tolist(), strict=True))
     for i, words in enumerate(split):
         if words:
