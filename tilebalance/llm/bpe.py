@@ -27,8 +27,8 @@ from pyspark.sql import types as T
 
 from .common import stash
 
-#: Words that every task may hold; about 100 MB in a Python worker, whatever the input.
-RESIDENT_WORDS = 400_000
+#: Words that every task may hold; about 80 MB in a Python worker, whatever the input.
+RESIDENT_WORDS = 300_000
 #: Characters for which classes are spelt out; the number that stands for a word that is not resident.
 _NEAR, _GAP = 0x250, 0xFFFFFF
 
@@ -95,6 +95,13 @@ def _texts(batch: pa.RecordBatch, name: str) -> list[str]:
     return [x or "" for x in batch.column(name).to_pylist()]
 
 
+def _column(values: tuple) -> pa.Array:
+    """An Arrow column; arrays of whole numbers become lists without a Python object for each."""
+    if isinstance(values[0], np.ndarray):
+        return pa.ListArray.from_arrays(np.cumsum([0, *map(len, values)]).astype(np.int32), np.concatenate(values))
+    return pa.array(values)
+
+
 def _digest(blob: bytes, width: str, table: dict[int, bytes]) -> tuple[int, str, str]:
     ids = np.frombuffer(blob, width)
     return len(ids), hashlib.sha256(ids.astype("<u4").tobytes()).hexdigest(), hashlib.sha256(b"".join(map(table.__getitem__, ids.tolist()))).hexdigest()
@@ -193,7 +200,7 @@ def _assembled(docs: DataFrame, codec: Codec, text: str, key: str, finish, schem
                 ids = b"".join(parts)
                 rows.append(end(ids))
             if rows:
-                yield pa.RecordBatch.from_pydict({"key": batch.column("key")} | {n: pa.array(c, pa.list_(pa.int32()) if isinstance(c[0], list) else None) for n, c in zip(names, zip(*rows, strict=True), strict=True)})
+                yield pa.RecordBatch.from_pydict({"key": batch.column("key")} | {n: _column(c) for n, c in zip(names, zip(*rows, strict=True), strict=True)})
 
     kind = docs.schema[key].dataType.simpleString()
     blobs = texts.mapInArrow(first, f"key {kind}, blob binary")
@@ -221,7 +228,7 @@ def encode(docs: DataFrame, codec: Codec, text: str = "text", to: str = "ids", r
     keyed = stash(docs.drop(to).withColumn("_row", F.monotonically_increasing_id()), "rows")
 
     def finish(codec):
-        return lambda ids: (np.frombuffer(ids, codec.width).astype(np.int32).tolist(),)
+        return lambda ids: (np.frombuffer(ids, codec.width).astype(np.int32),)
 
     ids = _assembled(keyed, codec, text, "_row", finish, "ids array<int>", resident_words).select(F.col("key").alias("_row"), F.col("ids").alias(to))
     return (keyed if keep_text else keyed.drop(text)).join(ids, "_row").drop("_row")
