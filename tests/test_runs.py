@@ -11,7 +11,7 @@ from tilebalance.operators.cost import gather, tile_load
 from tilebalance.operators.grid import Grid
 from tilebalance.plans.methods import at, costs
 from tilebalance.plans.policy import Every, Never, Threshold, fresh_strips, full, neighbours, tether_or_full, tethered
-from tilebalance.plans.simulate import Run, run
+from tilebalance.plans.simulate import Run, _shared, run
 from tilebalance.sources import sinks
 from tilebalance.sources.tables import grid_of, particles, two_stream
 from tilebalance.sources.twostream import TwoStream
@@ -76,7 +76,8 @@ def test_meshes(spark):
     for made in (tri, mesh.hybrid(spark, 8, grid), mesh.quads(spark, 8, grid)):
         assert mesh.locate_elements(points, made, grid).count() == 500  # every point is in one element
     assert sorted(map(tuple, mesh.locate_elements(points, mesh.quads(spark, 8, grid), grid).select("pid_key", "elem").collect())) != []
-    parts = mesh.graph_cut(mesh.quads(spark, 8, grid), 4, rounds=3, store=lambda d: d.cache())
+    _shared(spark)
+    parts = mesh.graph_cut(mesh.quads(spark, 8, grid), 4, rounds=3)
     sizes = [r["count"] for r in parts.groupBy("part").count().collect()]
     assert len(sizes) == 4 and sum(sizes) == 64 and max(sizes) <= 18
     cut = mesh.edge_cut(parts, mesh.adjacency(mesh.quads(spark, 8, grid))).first()

@@ -36,7 +36,7 @@ def diffuse(loads: DataFrame, links: DataFrame, alpha: float | str = "uniform",
         flow = both.join(a, "a").join(b, "b").select(F.col("a").alias("pid"), (F.col("alpha") * (F.col("theirs") - F.col("mine"))).alias("g"))
         flow = flow if given is None else flow.union(given)
         now = now.join(flow.groupBy("pid").agg(F.sum("g").alias("g")), "pid", "left").select("pid", (F.col("load") + F.coalesce("g", F.lit(0.0))).alias("load"))
-        now = store(now) if store and t % 4 == 0 else now
+        now = store(now) if store else now
         out = out.union(now.select(F.lit(t).cast("long").alias("t"), "pid", "load"))
     return out
 
@@ -70,7 +70,7 @@ def exchange(loads: DataFrame, links: DataFrame, steps: int, store=None) -> Data
         pair = turn.select("a", "b").union(turn.select("b", "a"))
         other = pair.join(now.select(F.col("pid").alias("b"), F.col("load").alias("theirs")), "b").select(F.col("a").alias("pid"), "theirs")
         now = now.join(other, "pid", "left").select("pid", F.when(F.col("theirs").isNull(), F.col("load")).otherwise((F.col("load") + F.col("theirs")) / 2).alias("load"))
-        now = store(now) if store and t % 4 == 0 else now
+        now = store(now) if store else now
         out = out.union(now.select(F.lit(t).cast("long").alias("t"), "pid", "load"))
     return out
 

@@ -24,35 +24,41 @@ def tile_gradient(deposited: DataFrame, grid: Grid, k: int = 1) -> DataFrame:
     return deposited.select(sent.alias("s")).select("s.*").groupBy("ti", "tj").agg(F.sum("fx").alias("fx"), F.sum("fy").alias("fy"))
 
 
-def _beside(df: DataFrame, grid: Grid, a: int, b: int, names: dict[str, str]) -> DataFrame:
-    """The values of the tile at (ti + a, tj + b), keyed by (ti, tj)."""
-    return df.select(F.pmod(F.col("ti") - a, F.lit(grid.n)).alias("ti"), F.pmod(F.col("tj") - b, F.lit(grid.m)).alias("tj"), *[F.col(k).alias(v) for k, v in names.items()])
+def _sent(df: DataFrame, grid: Grid, own: list[str], *out: tuple[int, int, str, str]) -> DataFrame:
+    """Each tile's own values, and values sent to it by tiles beside it: (di, dj, value, name). One shuffle; df is read once."""
+    names = [*own, *[name for _, _, _, name in out]]
+    null = F.lit(None).cast("double")
+
+    def to(a: int, b: int, filled: dict[str, str]) -> Column:
+        return F.struct(F.pmod(F.col("ti") + a, F.lit(grid.n)).alias("ti"), F.pmod(F.col("tj") + b, F.lit(grid.m)).alias("tj"), *[(F.col(filled[n]) if n in filled else null).alias(n) for n in names])
+
+    rows = F.explode(F.array(to(0, 0, {n: n for n in own}), *[to(a, b, {name: value}) for a, b, value, name in out]))
+    return df.select(rows.alias("s")).select("s.*").groupBy("ti", "tj").agg(*[F.max(n).alias(n) for n in names])
 
 
 def leapfrog_quads(field: DataFrame, deposited: DataFrame, grid: Grid, dt: float, steps: int = 1) -> DataFrame:
     """(ti, tj, ex, ey, bz) after steps of the staggered scheme on a periodic grid of unit cells.
 
     ex lies on the lower edge of a cell, ey on its left edge, bz in its middle; currents (jx, jy) come from deposits."""
-    j = tiles(field.sparkSession, grid).join(deposited.select("ti", "tj", "jx", "jy"), ["ti", "tj"], "left").select("ti", "tj", F.coalesce("jx", F.lit(0)).alias("jx"), F.coalesce("jy", F.lit(0)).alias("jy"))
-    now = field.select("ti", "tj", "ex", "ey", "bz")
+    j = tiles(field.sparkSession, grid).join(deposited.select("ti", "tj", "jx", "jy"), ["ti", "tj"], "left").select("ti", "tj", F.coalesce("jx", F.lit(0)).cast("double").alias("jx"), F.coalesce("jy", F.lit(0)).cast("double").alias("jy"))
+    now = field.select("ti", "tj", *[F.col(c).cast("double").alias(c) for c in ("ex", "ey", "bz")]).join(j, ["ti", "tj"])
+    own = ["ex", "ey", "bz", "jx", "jy"]
     for _ in range(steps):
-        up, right = _beside(now, grid, 0, 1, {"ex": "ex_up"}), _beside(now, grid, 1, 0, {"ey": "ey_right"})
-        now = now.join(up, ["ti", "tj"]).join(right, ["ti", "tj"])
-        now = now.select("ti", "tj", "ex", "ey", (F.col("bz") - dt * (F.col("ey_right") - F.col("ey") - F.col("ex_up") + F.col("ex"))).alias("bz"))
-        down, left = _beside(now, grid, 0, -1, {"bz": "bz_down"}), _beside(now, grid, -1, 0, {"bz": "bz_left"})
-        now = now.join(down, ["ti", "tj"]).join(left, ["ti", "tj"]).join(j, ["ti", "tj"])
-        ex = F.col("ex") + dt * (F.col("bz") - F.col("bz_down") - F.col("jx"))
-        ey = F.col("ey") + dt * (F.col("bz_left") - F.col("bz") - F.col("jy"))
-        now = now.select("ti", "tj", ex.alias("ex"), ey.alias("ey"), "bz")
-    return now
-
-
-def leapfrog_mesh(edges: DataFrame, faces: DataFrame, incidence: DataFrame, dt: float, steps: int = 1, current: DataFrame | None = None) -> DataFrame:
+        now = _sent(now, grid, own, (0, -1, "ex", "ex_up"), (-1, 0, "ey", "ey_right"))
+        now = now.withColumn("bz", F.col("bz") - dt * (F.col("ey_right") - F.col("ey") - F.col("ex_up") + F.col("ex"))).drop("ex_up", "ey_right")
+        now = _sent(now, grid, own, (0, 1, "bz", "bz_down"), (1, 0, "bz", "bz_left"))
+        ex, ey = F.col("ex") + dt * (F.col("bz") - F.col("bz_down") - F.col("jx")), F.col("ey") + dt * (F.col("bz_left") - F.col("bz") - F.col("jy"))
+        now = now.withColumns({"ex": ex, "ey": ey}).drop("bz_down", "bz_left")
+    return now.select("ti", "tj", "ex", "ey", "bz")
+
+
+def leapfrog_mesh(edges: DataFrame, faces: DataFrame, incidence: DataFrame, dt: float, steps: int = 1, current: DataFrame | None = None, store=None) -> DataFrame:
     """(edge, e) and the faces' (elem, b) after steps on any mesh, as one frame (kind, id, value).
 
     incidence: (elem, edge, sign). A face's b falls by the circulation of e around it, by its area; an edge's e grows by the
     signed b of the faces beside it, by its weight, less its current: two sparse products per step.
-    edges: (edge, e, weight). faces: (elem, b, area)."""
+    edges: (edge, e, weight). faces: (elem, b, area). store: cuts the lineage of both after each step; without it plans of many
+    steps grow fast."""
     e, b = edges, faces
     for _ in range(steps):
         turn = incidence.join(e.select("edge", "e"), "edge").groupBy("elem").agg(F.sum(F.col("sign") * F.col("e")).alias("c"))
@@ -64,6 +70,7 @@ def leapfrog_mesh(edges: DataFrame, faces: DataFrame, incidence: DataFrame, dt:
             e = e.join(current.select("edge", "j"), "edge", "left")
             given = F.coalesce("j", F.lit(0.0))
         e = e.select("edge", (F.col("e") + dt * (F.coalesce("c", F.lit(0.0)) - given) / F.col("weight")).alias("e"), "weight")
+        e, b = (store(e), store(b)) if store else (e, b)
     return e.select(F.lit("edge").alias("kind"), F.col("edge").alias("id"), F.col("e").alias("value")).union(b.select(F.lit("face"), "elem", "b"))
 
 
