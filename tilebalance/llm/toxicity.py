@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 from .textkit import chunks, mixed, powers
 
 #: Labelled rows of each class used for fitting at most; letters in the longest run; shared orders; discount; word types a task keeps.
-BOUND, ORDER, SHARED, DISCOUNT, KEPT = 4_000, 6, 2, 1.0, 600_000
+BOUND, ORDER, SHARED, DISCOUNT, KEPT = 2_000, 6, 2, 1.0, 600_000
 _LETTERS = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -75,6 +75,7 @@ class Model:
                 del longer, one, up, ends
             else:
                 weights = np.stack([np.bincount(index, counts[word, c], len(keys)) for c in (0, 1)])
+            del runs, index
             self.tables.append((keys, weights.astype(np.float32)))
             above, of = np.unique(contexts[first], return_inverse=True)
             totals = np.stack([np.bincount(of, weights[c], len(above)) for c in (0, 1)])
