@@ -40,7 +40,7 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def tokenize(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token ids in place of texts."""
     # tasks hold lists of ids besides, so fewer words
-    ids = bpe.encode(docs.select(*COLUMNS), codec(), resident_words=250_000, keep_text=False)
+    ids = bpe.encode_copies(docs.select(*COLUMNS), codec(), resident_words=250_000)
     return ids.withColumn("n_tokens", F.size("ids").cast("long"))
 
 

@@ -147,14 +147,16 @@ def _frequent(words: DataFrame, most: int) -> int:
     return 1
 
 
-def _assembled(docs: DataFrame, codec: Codec, text: str, key: str, finish, schema: str, resident_words: int) -> DataFrame:
-    """Rows of `finish(blob)` for each row of docs, with its key; blob holds the row's ids in the codec's width."""
+def _assembled(docs: DataFrame, codec: Codec, text: str, key: str, finish, schema: str, resident_words: int, carry: tuple[str, ...] = ()) -> DataFrame:
+    """Rows of `finish(blob)` for each row of docs, with its key and a struct of the columns to carry; blob holds the row's ids in the
+    codec's width. Rows that share a key must share their text."""
     spark = docs.sparkSession
     words = word_table(docs, codec, text)
     bar = _frequent(words, resident_words)
     top = words.where(F.col("n") >= bar).select("word", "ids", "n").toArrow().sort_by([("n", "descending"), ("word", "ascending")])
     shared = spark.sparkContext.broadcast((codec, top.column("word").to_pylist(), top.column("ids").to_pylist()))
-    texts = docs.select(F.col(key).alias("key"), F.col(text).cast("string").alias("text"))
+    other = F.struct(F.lit(0).alias("_"), *carry).alias("carry")
+    texts = docs.select(F.col(key).alias("key"), F.col(text).cast("string").alias("text"), other)
     names = [x.split(" ")[0] for x in schema.split(", ")]
 
     def rare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -180,7 +182,7 @@ def _assembled(docs: DataFrame, codec: Codec, text: str, key: str, finish, schem
             for value in _texts(batch, "text"):
                 found = cut(value)
                 blobs.append(pack(_planes(np.fromiter(map(get, found, repeat(_GAP)), np.uint32, len(found)))))
-            yield pa.RecordBatch.from_arrays([batch.column("key"), pa.array(blobs, pa.binary())], ["key", "blob"])
+            yield pa.RecordBatch.from_arrays([batch.column("key"), pa.array(blobs, pa.binary()), batch.column("carry")], ["key", "blob", "carry"])
 
     def last(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import zstandard
@@ -200,17 +202,18 @@ def _assembled(docs: DataFrame, codec: Codec, text: str, key: str, finish, schem
                 ids = b"".join(parts)
                 rows.append(end(ids))
             if rows:
-                yield pa.RecordBatch.from_pydict({"key": batch.column("key")} | {n: _column(c) for n, c in zip(names, zip(*rows, strict=True), strict=True)})
+                yield pa.RecordBatch.from_pydict({"key": batch.column("key")} | {n: _column(c) for n, c in zip(names, zip(*rows, strict=True), strict=True)} | {"carry": batch.column("carry")})
 
     kind = docs.schema[key].dataType.simpleString()
-    blobs = texts.mapInArrow(first, f"key {kind}, blob binary")
+    carried = texts.schema["carry"].dataType.simpleString()
+    blobs = texts.mapInArrow(first, f"key {kind}, blob binary, carry {carried}")
     if bar > 1:
-        found = texts.mapInArrow(rare, f"key {kind}, place int, word string").join(words.where(F.col("n") < bar).select("word", "ids"), "word")
-        filled = found.groupBy("key").agg(F.collect_list(F.struct("place", "ids")).alias("filled"))
+        found = texts.select("key", "text").mapInArrow(rare, f"key {kind}, place int, word string").join(words.where(F.col("n") < bar).select("word", "ids"), "word")
+        filled = found.groupBy("key").agg(F.collect_set(F.struct("place", "ids")).alias("filled"))
         blobs = blobs.join(filled, "key", "left")
     else:
         blobs = blobs.withColumn("filled", F.lit(None).cast("array<struct<place:int,ids:binary>>"))
-    return blobs.mapInArrow(last, f"key {kind}, {schema}")
+    return blobs.mapInArrow(last, f"key {kind}, {schema}, carry {carried}")
 
 
 def digests(docs: DataFrame, codec: Codec, key: str = "doc_id", text: str = "text", resident_words: int = RESIDENT_WORDS) -> DataFrame:
@@ -220,7 +223,7 @@ def digests(docs: DataFrame, codec: Codec, key: str = "doc_id", text: str = "tex
         table = codec.token_bytes()
         return lambda ids: _digest(ids, codec.width, table)
 
-    return _assembled(docs, codec, text, key, finish, "n_tokens long, ids_sha256 string, decoded_sha256 string", resident_words).withColumnRenamed("key", key)
+    return _assembled(docs, codec, text, key, finish, "n_tokens long, ids_sha256 string, decoded_sha256 string", resident_words).drop("carry").withColumnRenamed("key", key)
 
 
 def encode(docs: DataFrame, codec: Codec, text: str = "text", to: str = "ids", resident_words: int = RESIDENT_WORDS, keep_text: bool = True) -> DataFrame:
@@ -234,6 +237,19 @@ def encode(docs: DataFrame, codec: Codec, text: str = "text", to: str = "ids", r
     return (keyed if keep_text else keyed.drop(text)).join(ids, "_row").drop("_row")
 
 
+def encode_copies(docs: DataFrame, codec: Codec, key: str = "doc_id", text: str = "text", to: str = "ids", resident_words: int = RESIDENT_WORDS) -> DataFrame:
+    """docs with ids in place of texts, where rows that share a key are copies of one text; keys are not null.
+
+    Nothing is written between, and no row is joined with its text again."""
+    others = tuple(c for c in docs.columns if c not in (key, text, to))
+
+    def finish(codec):
+        return lambda ids: (np.frombuffer(ids, codec.width).astype(np.int32),)
+
+    rows = _assembled(docs, codec, text, key, finish, "ids array<int>", resident_words, others)
+    return rows.select(F.col("key").alias(key), *[F.col("carry").getField(c).alias(c) for c in others], F.col("ids").alias(to))
+
+
 def decode(rows: DataFrame, codec: Codec, ids: str = "ids", to: str = "text") -> DataFrame:
     """rows with the text of their ids, by the token-byte table; null ids give null, unknown ids raise KeyError."""
     shared = rows.sparkSession.sparkContext.broadcast(codec)
