@@ -324,6 +324,29 @@ def test_fuzzy_lines(spark):
     assert fuzzylines.deduplicated(df.limit(0)).count() == 0
 
 
+def test_fuzzy_lines_by_edit_similarity_alone(spark):
+    rng = random.Random(6)
+    words = [f"w{i}" for i in range(150)]
+    texts = []
+    bases = [rng.choices(words, k=n) for n in (3, 4, 4, 5, 5, 6, 7, 8, 9, 10, 10, 14, 15, 19, 20, 25, 50) for _ in range(2)]
+    for _ in range(260):
+        line = list(rng.choice(bases))
+        for _ in range(rng.randrange(len(line) // 4 + 1)):
+            at = rng.randrange(len(line))
+            line[at : at + rng.randrange(2)] = rng.choices(words, k=rng.randrange(2))
+        texts.append(" ".join(line))
+    # edits as far apart as can be
+    even = [f"e{i}" for i in range(20)]
+    texts += [" ".join(even), " ".join(f"x{i}" if i % 5 == 4 else w for i, w in enumerate(even)), " ".join(["a"] * 30), " ".join(["a"] * 25 + ["b"] * 5)]
+    lines = [(i, _norm(t).split(" ")) for i, t in enumerate(texts) if _norm(t)]
+    links = [(i, j) for i, a in lines for j, b in lines if j < i and 1 - _distance(a, b) / max(len(a), len(b)) >= 0.8 - 1e-9]
+    want = {(i, 0) for i, root in roots_of([i for i, _ in lines], links).items() if root < i}
+    assert {(r["doc_id"], r["line"]) for r in fuzzylines.removals(rows_of(spark, texts), bits=None).collect()} == want
+    # the gate of three bits misses some of them
+    assert {(r["doc_id"], r["line"]) for r in fuzzylines.removals(rows_of(spark, texts)).collect()} < want
+    assert fuzzylines.deduplicated(rows_of(spark, texts).limit(0), bits=None).count() == 0
+
+
 # n-gram Jaccard join
 
 
