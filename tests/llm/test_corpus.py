@@ -241,6 +241,22 @@ def test_substrings(spark, window, anchor, crowd):
         assert substrings.digests(df.limit(0)).count() == 0
 
 
+@pytest.mark.parametrize("crowd", [2000, 1])
+def test_substrings_repeated_within_a_document(spark, crowd):
+    rng = random.Random(4)
+    some = lambda n: [f"u{rng.randrange(10**6)}" for _ in range(n)]
+    texts = []
+    for _ in range(6):
+        p, x, y = some(30), some(10), some(12)
+        texts.append(some(20) + p + some(20))
+        texts.append(some(15) + x + p + y + some(9) + x + p + y + some(5))
+        q = some(25)
+        texts += [some(3) + q + some(4), q * 4]
+    texts = [" ".join(t) for t in texts]
+    got = {r["doc_id"]: (r["n_words"], r["n_removed"], r["kept_sha256"]) for r in substrings.digests(rows_of(spark, texts), window=12, anchor=3, crowd=crowd, shard_words=300).collect()}
+    assert got == repeats(list(enumerate(texts)), 12)
+
+
 def test_fm_index():
     rng = np.random.default_rng(1)
     for _ in range(10):

@@ -11,7 +11,8 @@ stretches are one text; its Burrows-Wheeler transform is stored in a wavelet tre
 counts. The documents' stretches are streamed against it from their last word to their first: backward
 search extends the match by a word, and where it fails the match loses words at its end until it can go
 on. That gives the matching statistics, cut off at the length of a window, with the range of suffixes that
-start with the match; a window repeats if the least key among them is below the document's own. An anchor with very many
+start with the match; a window repeats if the least key among them is below the document's own. What is found for a
+stretch holds wherever else its document has it. An anchor with very many
 different stretches is dealt out again, window by window, by the hash of the whole window.
 
 Null and empty texts, and those shorter than a window, lose nothing. Of documents with the same key the rows are
@@ -237,11 +238,14 @@ def repeated(docs: DataFrame, key: str = "doc_id", text: str = "text", window: i
                 yield pa.RecordBatch.from_arrays([pa.array(anchors, pa.int64()), pa.array(content, pa.int64()), pa.array(keys), pa.array(first.astype(np.int32)), pa.array(count.astype(np.int32))], ["anchor", "content", "key", "first", "count"])
 
     cuts = stash(texts.mapInArrow(cut, "anchor long, content long, key long, first int, count int"), "stretches")
-    different = cuts.groupBy("anchor", "content").agg(F.min(F.struct("key", "first", "count")).alias("rep"), F.max("key").alias("most")).select("anchor", "content", "rep.*", "most")
+    different = cuts.groupBy("anchor", "content").agg(F.min(F.struct("key", "first", "count")).alias("rep"), F.count("*").alias("n")).select("anchor", "content", "rep.*", "n")
     different = stash(different, "different")
     # a stretch that a smaller document has too, word for word
-    several = different.where("most > key").select("anchor", "content", F.col("key").alias("least"))
-    same = cuts.join(several, ["anchor", "content"]).where("key > least").select("key", "first", (F.col("first") + F.col("count") + (window - 1)).alias("last"))
+    several = different.where("n > 1").select("anchor", "content", F.col("key").alias("least"), F.col("first").alias("stretch"))
+    met = cuts.join(several, ["anchor", "content"])
+    same = met.where("key > least").select("key", "first", (F.col("first") + F.col("count") + (window - 1)).alias("last"))
+    # or that its document has again, further on
+    again = met.where("key = least and first > stretch").select("key", "stretch", (F.col("first") - F.col("stretch")).alias("shift"))
     # stretches whose anchor others have in other words
     shared = different.groupBy("anchor").agg(F.count("*").alias("kinds")).where("kinds > 1")
     unclear = stash(different.join(shared, "anchor").select("anchor", "key", "first", "count", (F.col("kinds") > crowd).alias("crowd")), "unclear")
@@ -253,19 +257,21 @@ def repeated(docs: DataFrame, key: str = "doc_id", text: str = "text", window: i
         for batch in batches:
             for i, t, runs in zip(batch.column("key").to_pylist(), batch.column("text").to_pylist(), batch.column("wanted").to_pylist(), strict=True):
                 words, _ = word_hashes([t])
-                out: tuple[list, list, list] = ([], [], [])
+                out: tuple[list, list, list, list] = ([], [], [], [])
                 for run in runs:
                     a, n = run["first"], run["count"]
                     if not run["crowd"]:
                         out[0].append(run["anchor"] % shards)
                         out[1].append(a)
                         out[2].append(words[a : a + n + window - 1].tobytes())
+                        out[3].append(a)
                     else:
                         own = words[a : a + n + window - 1]
                         out[0].extend((windows_hash(own, window) % np.uint64(shards)).astype(np.int64).tolist())
                         out[1].extend(range(a, a + n))
                         out[2].extend(own[k : k + window].tobytes() for k in range(n))
-                yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array([i] * len(out[0]), pa.int64()), pa.array(out[1], pa.int32()), pa.array(out[2], pa.binary())], ["shard", "key", "first", "words"])
+                        out[3].extend([a] * n)
+                yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array([i] * len(out[0]), pa.int64()), pa.array(out[1], pa.int32()), pa.array(out[2], pa.binary()), pa.array(out[3], pa.int32())], ["shard", "key", "first", "words", "stretch"])
 
     def search(shard: pd.DataFrame) -> pd.DataFrame:
         lengths = shard["words"].map(len).to_numpy() // 8
@@ -274,14 +280,15 @@ def repeated(docs: DataFrame, key: str = "doc_id", text: str = "text", window: i
         owners = FmIndex(words, lengths, keys, window).first_owners(words, lengths, window)
         repeats = owners < np.repeat(keys, lengths)
         out, at = [], 0
-        for i, a, n in zip(keys, firsts, lengths, strict=True):
-            out.extend((i, a + x, a + y) for x, y in _intervals(repeats[at : at + n], window))
+        for i, a, n, s in zip(keys, firsts, lengths, shard["stretch"], strict=True):
+            out.extend((i, a + x, a + y, s) for x, y in _intervals(repeats[at : at + n], window))
             at += n
-        return pd.DataFrame(out, columns=["key", "first", "last"])
+        return pd.DataFrame(out, columns=["key", "first", "last", "stretch"])
 
-    pieced = texts.join(wanted, "key").mapInArrow(pieces, "shard long, key long, first int, words binary")
-    found = pieced.groupBy("shard").applyInPandas(search, "key long, first int, last int")
-    return stash(same.union(found), "repeats").withColumnRenamed("key", key)
+    pieced = texts.join(wanted, "key").mapInArrow(pieces, "shard long, key long, first int, words binary, stretch int")
+    found = stash(pieced.groupBy("shard").applyInPandas(search, "key long, first int, last int, stretch int"), "found")
+    moved = found.join(again, ["key", "stretch"]).select("key", F.col("first") + F.col("shift"), F.col("last") + F.col("shift"))
+    return stash(same.union(found.select("key", "first", "last")).union(moved), "repeats").withColumnRenamed("key", key)
 
 
 def _kept(docs: DataFrame, runs: DataFrame, key: str, text: str, finish, schema: str) -> DataFrame:
