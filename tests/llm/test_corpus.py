@@ -136,6 +136,24 @@ def test_quotations(spark):
     assert quotations.reply_order(df.limit(0)).count() == 0
 
 
+def test_quotations_from_other_conversations(spark):
+    messages = [
+        (1, 0, "user", "Line alpha."), (1, 1, "bot", "> Line alpha.\n> Line beta.\nYes."),
+        (2, 0, "user", "Line beta."), (9, 0, "user", "Line alpha.\nLine beta."), (9, 1, "bot", "Line gamma."),
+        (0, 0, "user", "> Line gamma.\n\n> Line delta."), (0, 1, "user", "Line gamma.\nLine delta."),  # the least row is a later turn of the same conversation
+        (5, 0, "user", "> Line alpha.\n> Line beta."), (6, 0, "user", "Line delta."), (7, 3, "user", "Line delta."),
+    ]
+    messages += [(20 + i, 0, "user", "Line alpha.") for i in range(40)] + [(70 + i, 0, "user", "> Line alpha.") for i in range(40)]
+    df = spark.createDataFrame(messages, "conv_id long, turn long, role string, text string")
+    where = {(r["conv"], r["turn"], r["passage"]): (r["found"], r["from_conv"], r["from_turn"]) for r in quotations.passages(df).collect()}
+    assert where.pop((1, 1, 0)) == (1, 1, 0)  # an earlier turn of the same conversation comes first
+    assert where.pop((5, 0, 0)) == (2, 9, 0)
+    assert where.pop((0, 0, 0)) == (1, 9, 1) and where.pop((0, 0, 2)) == (1, 6, 0)
+    assert where == {(70 + i, 0, 0): (1, 1, 0) for i in range(40)}
+    linked = {(r["conv_id"], r["turn"]): r["n_linked"] for r in quotations.reply_order(df).collect()}
+    assert linked[0, 0] == 2
+
+
 # html
 
 

@@ -3,8 +3,9 @@
 A line that begins with one or more ">" is quoted, once for each. A run of quoted lines of one level is a
 passage. Quoted lines are normalised (lower case, white space to one space), hashed, and joined to the
 unquoted lines of all messages. A passage comes from the message that has most of its lines: of the same
-conversation and an earlier turn if there is one, the latest of them, or else from the first message of
-another conversation that has them. A message replies to the source of its first passage of level 1 that was found in its
+conversation and an earlier turn if there is one, the latest of them, or else of any other conversation, the
+first of them. Passages of the same lines are one when other conversations are searched, and so are messages that have the same
+of the quoted lines, so that very common lines make few pairs. A message replies to the source of its first passage of level 1 that was found in its
 own conversation; messages without one begin a thread. The thread's turns on the way to a message
 are its path, and paths sort a conversation into reply order.
 
@@ -49,19 +50,41 @@ def passages(messages: DataFrame, conversation: str = "conv_id", turn: str = "tu
     quoted = stash(quoted.select("conv", "turn", "passage", "level", "line", F.when(F.rlike("norm", F.lit(r"[\p{L}\p{N}]")), F.xxhash64("norm")).alias("h")), "quoted")
     asked = quoted.where("h is not null").select("h").distinct()
     own = rows.where("level = 0").where(F.rlike("norm", F.lit(r"[\p{L}\p{N}]"))).select("conv", "turn", F.xxhash64("norm").alias("h")).join(asked, "h", "left_semi")
-    # of very common lines no more than the turns of one conversation, and the first message of all, are held against a quotation
+    one = ["conv", "turn", "passage", "level"]
     here = own.select("h", "conv", F.col("turn").alias("from_turn")).distinct()
-    first = own.groupBy("h").agg(F.min(F.struct("conv", "turn")).alias("first"))
-    near = quoted.join(here, ["h", "conv"]).where("from_turn < turn").select("conv", "turn", "passage", "level", "line", F.col("conv").alias("from_conv"), "from_turn", F.lit(0).alias("far"))
-    far = quoted.join(first, "h").where(F.col("first.conv") != F.col("conv")).select("conv", "turn", "passage", "level", "line", F.col("first.conv").alias("from_conv"), F.col("first.turn").alias("from_turn"), F.lit(1).alias("far"))
-    votes = near.union(far).groupBy("conv", "turn", "passage", "level", "far", "from_conv", "from_turn").agg(F.count_distinct("line").alias("found"))
-    best = votes.groupBy("conv", "turn", "passage", "level").agg(
-        F.min(F.struct("far", -F.col("found"), F.when(F.col("far") == 0, -F.col("from_turn")).otherwise(F.col("from_turn")), "from_conv", "from_turn", "found")).alias("best")
-    )
+    votes = quoted.join(here, ["h", "conv"]).where("from_turn < turn").groupBy(*one, "from_turn").agg(F.count_distinct("line").alias("found"))
+    near = votes.groupBy(*one).agg(F.min(F.struct(-F.col("found"), -F.col("from_turn"), F.col("conv").alias("from_conv"), "from_turn", "found")).alias("best"))
+    near = stash(near.select(*one, "best.found", "best.from_conv", "best.from_turn"), "near")
+    best = near.union(_elsewhere(quoted.where("h is not null").join(near, one, "left_anti"), own)).select(*one, F.struct("found", "from_conv", "from_turn").alias("best"))
     whole = quoted.groupBy("conv", "turn", "passage", "level").agg(F.count("*").alias("lines"))
     return whole.join(best, ["conv", "turn", "passage", "level"], "left").select("conv", "turn", "passage", "level", "lines", F.coalesce("best.found", F.lit(0)).alias("found"), "best.from_conv", "best.from_turn")
 
 
+def _two_least(rows: DataFrame, by: str, order: tuple[str, ...]) -> DataFrame:
+    """Of the rows of each `by` the first in the order, and the first of them of another conversation than that."""
+    first = rows.groupBy(by).agg(F.min(F.struct(*order)).alias("a"))
+    second = rows.join(first.select(by, F.col("a.conv").alias("_conv")), by).where("conv <> _conv").groupBy(by).agg(F.min(F.struct(*order)).alias("b"))
+    return first.join(second, by, "left")
+
+
+def _elsewhere(quoted: DataFrame, own: DataFrame) -> DataFrame:
+    """(conv, turn, passage, level, found, from_conv, from_turn) of passages by the message of another conversation that has most of their lines."""
+    one = ["conv", "turn", "passage", "level"]
+    alike = stash(quoted.groupBy(*one).agg(F.sort_array(F.collect_list("h")).alias("hs")).withColumn("content", F.xxhash64("hs")), "alike")
+    contents = alike.groupBy("content").agg(F.first("hs").alias("hs")).select("content", F.explode("hs").alias("h")).groupBy("content", "h").agg(F.count("*").alias("k"))
+    # messages with the same of these lines get the same votes; the first, and the first of another conversation, stand for all
+    asked = contents.select("h").distinct()
+    held = own.join(asked, "h", "left_semi").groupBy("conv", "turn").agg(F.sort_array(F.collect_set("h")).alias("hs"))
+    held = stash(held.select("conv", "turn", "hs", F.xxhash64("hs").alias("profile")), "held")
+    kinds = held.groupBy("profile").agg(F.first("hs").alias("hs")).select("profile", F.explode("hs").alias("h"))
+    two = _two_least(held, "profile", ("conv", "turn")).select("profile", F.explode(F.filter(F.array("a", "b"), lambda x: x.isNotNull())).alias("m")).select("profile", "m.conv", "m.turn")
+    votes = contents.join(kinds, "h").groupBy("content", "profile").agg(F.sum("k").alias("found"))
+    ranked = stash(votes.join(two, "profile").select("content", (-F.col("found")).alias("less"), "conv", "turn"), "votes")
+    best = _two_least(ranked, "content", ("less", "conv", "turn"))
+    m = F.when(F.col("a.conv") != F.col("conv"), F.col("a")).otherwise(F.col("b"))
+    return alike.join(best, "content").select(*one, m.alias("m")).where("m is not null").select(*one, (-F.col("m.less")).alias("found"), F.col("m.conv").alias("from_conv"), F.col("m.turn").alias("from_turn"))
+
+
 def reply_order(messages: DataFrame, conversation: str = "conv_id", turn: str = "turn", text: str = "text") -> DataFrame:
     """messages with clean_text, n_quoted, max_level, n_linked, parent_turn, thread_turn, depth and path."""
     found = stash(passages(messages, conversation, turn, text), "passages")
