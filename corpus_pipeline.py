@@ -25,8 +25,8 @@ def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 
 
 def keep_one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document with the least id of each group of near-duplicates."""
-    roots = setjoin.components(docs).where("doc_id = component_id").select("doc_id")
+    """The document with the least id of each group of near-duplicates: those with a Jaccard similarity of 0.8 of their five-word shingles."""
+    roots = setjoin.components(docs, n=5, percent=80).where("doc_id = component_id").select("doc_id")
     return docs.select(*COLUMNS).join(roots, "doc_id", "left_semi").select(*COLUMNS)
 
 

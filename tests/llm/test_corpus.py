@@ -522,3 +522,21 @@ def test_pipeline(spark):
     text = {r["doc_id"]: r["text"] for r in d.collect()}
     assert all(r["text"] == (text[r["doc_id"]] or "") for r in bpe.decode(e.select("doc_id", "ids"), codec()).collect())
     assert corpus_pipeline.run(spark, SF).count() > 0
+
+
+def test_pipeline_keeps_one_of_documents_alike_in_five_words(spark):
+    import corpus_pipeline
+
+    rng = random.Random(8)
+    texts = []
+    for k in range(40):  # near copies on either side of the bound
+        t = [f"d{k}w{i}" for i in range(100)]
+        texts.append(" ".join(t))
+        for at in rng.sample(range(5, 95, 10), rng.randrange(1, 4)):
+            t[at] = "new"
+        texts.append(" ".join(t))
+    texts += ODD
+    sets = {i: shingles(t, 5) for i, t in enumerate(texts)}
+    links = [(a, b) for a in sets for b in range(a) if sets[a] and sets[b] and 100 * len(sets[a] & sets[b]) >= 80 * len(sets[a] | sets[b])]
+    kept = {r["doc_id"] for r in corpus_pipeline.keep_one_of_each_group(spark, rows_of(spark, texts), SF).collect()}
+    assert kept == {i for i, root in roots_of(list(sets), links).items() if i == root}
