@@ -401,6 +401,15 @@ def test_set_join(spark, block):
         assert setjoin.components(rows_of(spark, texts).limit(0)).count() == 0
 
 
+def test_shared_tokens_of_any_size_in_a_range(spark):
+    ranges = [(n, a, b) for n in range(1, 60) for a in range(-(-n * 9 // 10), n * 10 // 9 + 1) for b in range(a, n * 10 // 9 + 1)]
+    df = spark.createDataFrame(ranges, "n long, a long, b long")
+    least = lambda n, x: -(-90 * (n + x) // 190) - -(-90 * max(n, x) // 100) + 1
+    for r in df.select("*", setjoin._shared(F.col("n"), F.col("a"), F.col("b"), 90).alias("need")).collect():
+        every = [least(r["n"], x) for x in range(r["a"], r["b"] + 1)]
+        assert max(1, min(every) - 1) <= r["need"] <= max(1, min(every)), r
+
+
 # fingerprints
 
 

@@ -20,7 +20,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import connected_components, partitions, stash
@@ -48,6 +48,16 @@ def _needed(n: int, percent: int) -> int:
     return -(-n * percent // 100)
 
 
+def _shared(n: Column, short: Column, long: Column, percent: int) -> Column:
+    """Least number of common tokens in the prefixes of a set of n and one of any size from short to long that it links with.
+
+    Two sets share at least what their overlap needs beyond the longer of their remainders. That grows with the other's
+    size up to n and falls from there but for rounding, by which sizes inside the range may need one less than its upper end."""
+    beyond = lambda x: F.ceil(percent * (n + x) / (100 + percent) - 1e-9) - F.ceil(F.greatest(n, x) * percent / 100 - 1e-9) + 1
+    inside = F.when(long - F.greatest(n, short) >= 2, 1).otherwise(0)
+    return F.greatest(F.lit(1), F.least(beyond(short), beyond(long) - inside))
+
+
 def _texts(batch: pa.RecordBatch) -> list[tuple[int, bytes]]:
     return [(i, t or b"") for i, t in zip(batch.column("key").to_pylist(), batch.column("text").to_pylist(), strict=True)]
 
@@ -184,12 +194,9 @@ def linked(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int = 3,
     short, long = F.greatest(F.col("g.shortest"), F.ceil(F.col("q.n") * percent / 100)), F.least(F.col("g.longest"), F.floor(F.col("q.n") * 100 / percent))
     least = F.ceil(percent * (F.col("q.n") + short) / (100 + percent) - 1e-9)
     rest = F.least(F.col("q.n") - F.col("q.place"), F.col("g.rest"))
-    # of the prefixes, two sets share at least what their overlap needs beyond the longer of their remainders; over the
-    # sizes that a group may have, that is least at the ends of their range
-    beyond = lambda x: F.ceil(percent * (F.col("q.n") + x) / (100 + percent) - 1e-9) - F.ceil(F.greatest(F.col("q.n"), x) * percent / 100 - 1e-9) + 1
     bound = (F.col("q.token") == F.col("g.token")) & (F.col("q.of") > F.col("g.of")) & (short <= long)
     # where they meet first, no more than what is left of both can be common
-    met = q.join(g, bound).where(rest >= least).groupBy(F.col("q.key").alias("query"), F.col("g.of").alias("of")).agg(F.min(F.least(beyond(short), beyond(long))).alias("need"))
+    met = q.join(g, bound).where(rest >= least).groupBy(F.col("q.key").alias("query"), F.col("g.of").alias("of")).agg(F.min(_shared(F.col("q.n"), short, long, percent)).alias("need"))
     met = stash(met, "met")
     # each group's union, in parts of bounded size, against the foremost tokens of those that met it
     members_of = headed.join(groups.withColumnRenamed("node", "key"), "key", "left").select("key", "head", F.coalesce("component", "key").alias("of"))
