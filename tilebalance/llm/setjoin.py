@@ -52,10 +52,10 @@ def _shared(n: Column, short: Column, long: Column, percent: int) -> Column:
     """Least number of common tokens in the prefixes of a set of n and one of any size from short to long that it links with.
 
     Two sets share at least what their overlap needs beyond the longer of their remainders. That grows with the other's
-    size up to n and falls from there but for rounding, by which sizes inside the range may need one less than its upper end."""
+    size up to n and falls from there but for rounding, by which the last sizes before the upper end may need one less than it."""
     beyond = lambda x: F.ceil(percent * (n + x) / (100 + percent) - 1e-9) - F.ceil(F.greatest(n, x) * percent / 100 - 1e-9) + 1
-    inside = F.when(long - F.greatest(n, short) >= 2, 1).otherwise(0)
-    return F.greatest(F.lit(1), F.least(beyond(short), beyond(long) - inside))
+    steps = -(-100 * (100 + percent) // percent**2)  # it falls by more than one over so many sizes, or by one
+    return F.greatest(F.lit(1), F.least(beyond(short), *[beyond(F.greatest(short, long - k)) for k in range(steps)]))
 
 
 def _texts(batch: pa.RecordBatch) -> list[tuple[int, bytes]]:
