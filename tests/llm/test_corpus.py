@@ -4,6 +4,7 @@ import hashlib
 import math
 import random
 import re
+import time
 import zlib
 from collections import Counter, defaultdict
 
@@ -172,6 +173,82 @@ def test_html():
     assert htmltext.surges([0, 5, 90, 40, 0, 0, 0, 30]) == [(1, 4)]
 
 
+PARA = "A paragraph that is long enough to be the text of an article, with commas, and a good many more words than a menu."
+
+
+@pytest.mark.parametrize(
+    ("page", "text"),
+    [
+        # class words told from what only holds them, and an element around the article
+        (f'<div class="layout has-sidebar"><article><h1>T</h1><p>{PARA}</p></article></div>', f"T\n{PARA}"),
+        (f'<div class="post no-comments"><p>{PARA}</p></div>', PARA),
+        (f'<div class="entry print"><p>{PARA}</p></div>', PARA),
+        (f'<div class="menu"><article><p>{PARA}</p></article></div>', PARA),
+        (f'<div class="sidebar"><p>{PARA}</p></div>', PARA),
+        (f'<div class="post"><div class="post-header"><h1>Title</h1></div><p>{PARA}</p></div><div class="left-sidebar">{PARA}</div>', f"Title\n{PARA}"),
+        (f'<article><h1>T</h1><div class="entry-header">by me</div><p>{PARA}</p><div class="share-box">{PARA}</div></article>', f"T\nby me\n{PARA}"),
+        # comments are articles of their own
+        (f'<article><p>{PARA}</p></article><ol class="comment-list"><li><article class="comment-body"><p>{PARA * 9}</p></article></ol>', PARA),
+        # a form around the page
+        (f'<form id="page"><div id="header"><a>x</a></div><h1>T</h1><p>{PARA}</p><input></form>', f"T\n{PARA}"),
+        # nothing of the article is dropped: short and linked lines
+        (f"<article><p>{PARA}</p><p><a>See the source here</a></p><p>Yes.</p></article>", f"{PARA}\nSee the source here\nYes."),
+        (f"<p>{PARA}</p><p><a>See the source here</a></p><p>{PARA}</p>", f"{PARA}\nSee the source here\n{PARA}"),
+        (f"<p>{PARA * 20}</p><ul>" + "<li><a>link list</a></li>" * 8 + f"</ul><p>{PARA}</p>", f"{PARA * 20}\n{PARA}"),
+        ("<article><h1>Short</h1><p>one</p></article><div>Elsewhere</div>", "Short\none"),
+        # a marked element that holds next to nothing is not believed
+        (f"<article>short.</article><p>{PARA * 5}</p>", f"short.\n{PARA * 5}"),
+        # menus and notices without marks, and rights
+        (f"<div><a>Home</a> | <a>News</a></div><p>{PARA}</p><div>© 2020 Someone</div>", PARA),
+        # quotes in bare values, comments, cut-off markup, cells
+        ("<article><p>a <a href=o'neil.html>b</a> c</p><p title=\"x>y\">d<!-- > --></p><p>e &lt;f&gt; <", "a b c\nd\ne <f> <"),
+        ("<main><table><tr><td>a<td>b<tr><td>c</table><p>d<div>e", "a\nb\nc\nd\ne"),
+        ("<article><script>if (a < b) '</p>'</script><p hidden>x</p><p style='display: none'>y</p>z", "z"),
+    ],
+)
+def test_html_pages(page, text):
+    assert htmltext.main_text(page) == text
+
+
+@pytest.mark.parametrize("marked", [False, True])
+def test_html_against_definition(marked):
+    """Pages of paragraphs, links and menus: the lines kept are those of windows that surge, to where lines dive."""
+    rng = random.Random(5)
+    for _ in range(300):
+        rows = [(rng.choice([3, 10, 30, 90, 200]), rng.random() < 0.4, marked and rng.random() < 0.7) for _ in range(rng.randrange(1, 25))]
+        page = "".join(("<article>" if inside else "") + ("<p><a>{}</a></p>" if linked else "<p>{}</p>").format("x" * n) + ("</article>" if inside else "") for n, linked, inside in rows)
+        counts = [0 if linked else n for n, linked, _ in rows]
+
+        def runs(counts):
+            text, high = [c > 0 for c in counts], [sum(counts[i : i + 3]) >= 80 for i in range(len(counts))]
+            # a line is kept if from some surge on there is no dive up to it
+            return [any(text[s] and high[s] and all(text[k] or high[k] for k in range(s, i + 1)) for s in range(i + 1)) for i in range(len(counts))]
+
+        if any(inside for _, _, inside in rows):
+            weighed = [4 * c if inside else c for c, (_, _, inside) in zip(counts, rows, strict=True)]
+            on, pieces = runs(weighed), []
+            for i, k in enumerate(on):
+                if k and i and on[i - 1] and not (weighed[i - 1] == 0 and sum(weighed[i - 1 : i + 2]) < 80):
+                    pieces[-1].append(i)
+                elif k:
+                    pieces.append([i])
+            best = max(pieces or [list(range(len(rows)))], key=lambda p: sum(weighed[i] for i in p))
+            if 2 * sum(weighed[i] for i in best if rows[i][2]) >= sum(weighed[i] for i in best):
+                counts = [max(c, 80) if inside else 0 for c, (_, _, inside) in zip(counts, rows, strict=True)]
+        kept = runs(counts)
+        want = ["x" * n for (n, _, _), k, c in zip(rows, kept, counts, strict=True) if (k if any(kept) else c > 0)]
+        assert htmltext.main_text(page) == "\n".join(want)
+
+
+def test_html_of_any_nesting_in_proportion():
+    """Time grows in proportion: a page of a megabyte of unclosed elements takes seconds, not hours."""
+    began = time.perf_counter()
+    assert htmltext.main_text("<b>" * 100_000 + "x" + "</i>" * 100_000 + "</b>" * 100_000) == "x"
+    assert htmltext.main_text("<b><td>" + "<i>" * 100_000 + "</b>" * 100_000 + "<p>a" * 10_000) == "\n".join("a" * 10_000)
+    assert htmltext.main_text("<div>" * 100_000 + "y" * 100 + "<a href=\"" * 1000 + "<!--" * 1000) == "y" * 100
+    assert time.perf_counter() - began < 60
+
+
 def test_html_frame(spark):
     df = spark.createDataFrame([(1, "u", "<article><p>é x</p></article>", "old", 9), (2, None, None, None, None)], "page_id long, url string, html string, text string, n_chars long")
     got = {r["page_id"]: (r["url"], r["text"], r["n_chars"]) for r in htmltext.extract(df).collect()}
