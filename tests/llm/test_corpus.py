@@ -404,7 +404,9 @@ def test_fuzzy_lines(spark):
         texts.append("\n".join([*own, "", rng.choice(["---", "short line", "an other short line"])]))
     texts += ["", None, "---\n\n---", "short line\nshort line\nSHORT, line", "only " * 5000, "only " * 5000]
     df = rows_of(spark, texts)
-    found = {(r["key"], r["line"]): (r["h"], r["size"], r["simhash"]) for r in fuzzylines.lines(df).collect()}
+    found, distinct = fuzzylines.lines(df)
+    hashed = found.join(distinct.select("h1", "h2", "id"), ["h1", "h2"]).join(fuzzylines.simhashes(distinct), "id")
+    found = {(r["key"], r["line"]): (r["id"], r["size"], r["s0"]) for r in hashed.collect()}
     where = defaultdict(list)
     norm = {}
     for i, t in enumerate(texts):
@@ -427,8 +429,9 @@ def test_fuzzy_lines(spark):
     for node, root in roots_of(nodes, links).items():
         groups[root] += where[node]
     want = {p for g in groups.values() for p in sorted(g)[1:]}
-    assert {(r["doc_id"], r["line"]) for r in fuzzylines.removals(df).collect()} == want
-    done = {r["doc_id"]: (r["text"], r["_removed"]) for r in fuzzylines.deduplicated(df).collect()}
+    assert {(r["doc_id"], r["line"]) for r in fuzzylines.removals(df, bits=3).collect()} == want
+    df = df.selectExpr("*", "1 as key", "2 as lost", "3 as _key", "4 as line", "5 as n_removed")
+    done = {r["doc_id"]: (r["text"], r["n_removed"]) for r in fuzzylines.deduplicated(df, bits=3).where("key = 1 and lost = 2 and _key = 3 and line = 4").collect()}
     for i, t in enumerate(texts):
         kept = None if t is None else "\n".join(x for k, x in enumerate(t.split("\n")) if (i, k) not in want)
         assert done[i] == (kept, sum(p[0] == i for p in want))
@@ -452,10 +455,10 @@ def test_fuzzy_lines_by_edit_similarity_alone(spark):
     lines = [(i, _norm(t).split(" ")) for i, t in enumerate(texts) if _norm(t)]
     links = [(i, j) for i, a in lines for j, b in lines if j < i and 1 - _distance(a, b) / max(len(a), len(b)) >= 0.8 - 1e-9]
     want = {(i, 0) for i, root in roots_of([i for i, _ in lines], links).items() if root < i}
-    assert {(r["doc_id"], r["line"]) for r in fuzzylines.removals(rows_of(spark, texts), bits=None).collect()} == want
+    assert {(r["doc_id"], r["line"]) for r in fuzzylines.removals(rows_of(spark, texts)).collect()} == want
     # the gate of three bits misses some of them
-    assert {(r["doc_id"], r["line"]) for r in fuzzylines.removals(rows_of(spark, texts)).collect()} < want
-    assert fuzzylines.deduplicated(rows_of(spark, texts).limit(0), bits=None).count() == 0
+    assert {(r["doc_id"], r["line"]) for r in fuzzylines.removals(rows_of(spark, texts), bits=3).collect()} < want
+    assert fuzzylines.deduplicated(rows_of(spark, texts).limit(0)).count() == 0
 
 
 # n-gram Jaccard join

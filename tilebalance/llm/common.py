@@ -29,12 +29,14 @@ def shared_dir(spark: SparkSession) -> str:
 def stash(df: DataFrame, label: str) -> DataFrame:
     """Cut lineage: write to the shared folder and read back, so that a lost executor costs nothing done before.
 
-    Files are removed when the driver's program ends."""
+    Files are removed when the driver's program ends. What the step shuffled is not needed again: collecting
+    the driver's garbage has Spark remove it from the disks now, not when the driver's memory runs short."""
     path = f"{shared_dir(df.sparkSession)}/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    df.write.option("compression", "zstd").parquet(path)
     if not _stored:
         atexit.register(_forget)
     _stored.append((df.sparkSession, path))
+    df.sparkSession.sparkContext._jvm.System.gc()
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
@@ -56,6 +58,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def fresh(name: str, *frames: DataFrame) -> str:
+    """A column name like this one that none of the frames has, whatever the case of letters."""
+    taken = {c.lower() for frame in frames for c in frame.columns}
+    while name.lower() in taken:
+        name = f"_{name}"
+    return name
+
+
 def connected_components(edges: DataFrame) -> DataFrame:
     """(node, component): the smallest node reachable over the undirected edges (a, b), for each node of an edge.
 

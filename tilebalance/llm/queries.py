@@ -36,8 +36,7 @@ def op5_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op6_fuzzy_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    done = fuzzylines.deduplicated(table(spark, sf_dir, "documents").select("doc_id", "text"), bits=None)
-    return done.select("doc_id", "text", F.col("_removed").cast("long").alias("n_removed"))
+    return fuzzylines.deduplicated(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
 def op7_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
