@@ -1,8 +1,9 @@
 """Byte-level BPE encoding and decoding through one shuffle of distinct words.
 
 Texts are cut into pre-tokens; the distinct pre-tokens of all texts meet in one shuffle and each is
-encoded once. The most frequent ones, up to a fixed number, form a table that every task holds. The
-occurrences of all others, with their document and their place, are joined with the rest of the table by
+encoded once. A join of every occurrence with its word would put the occurrences of `the` into one task, so the most
+frequent words, up to a fixed number (`resident_words`; none if 0), form a table that every task holds: a
+join with a broadcast side of bounded size. The results are the same with any number. The occurrences of all others, with their document and their place, are joined with the rest of the table by
 word, gathered per document and put where they belong. Decoding joins ids with the token-byte table,
 whose size is the vocabulary's.
 
@@ -25,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import stash
+from .common import fresh, stash
 
 #: Words that every task may hold; about 100 MB in a Python worker, whatever the input.
 RESIDENT_WORDS = 400_000
@@ -65,9 +66,10 @@ class Codec:
         return lambda text: whole(text) if far(text) else near(text)
 
     def encoder(self):
+        """The merges of a whole word: to a pattern that cuts nothing, a text is one word."""
         import tiktoken
 
-        return tiktoken.Encoding("words", pat_str=self.pattern, mergeable_ranks=self.ranks, special_tokens={})._encode_single_piece
+        return tiktoken.Encoding("words", pat_str=r"(?s:.+)", mergeable_ranks=self.ranks, special_tokens={}).encode_ordinary
 
     def token_bytes(self) -> dict[int, bytes]:
         return {rank: token for token, rank in self.ranks.items()}
@@ -130,7 +132,7 @@ def word_table(docs: DataFrame, codec: Codec, text: str = "text") -> DataFrame:
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         piece, width = shared.value.encoder(), shared.value.width
         for batch in batches:
-            ids = [np.array(piece(w.encode()), width).tobytes() for w in batch.column("word").to_pylist()]
+            ids = [np.array(piece(w), width).tobytes() for w in batch.column("word").to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column("word"), batch.column("n"), pa.array(ids, pa.binary())], ["word", "n", "ids"])
 
     counted = docs.select(F.col(text).cast("string").alias(text)).mapInArrow(count, "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
@@ -147,21 +149,32 @@ def _frequent(words: DataFrame, most: int) -> int:
     return 1
 
 
+def _packed(words: DataFrame) -> bytes:
+    """Words and their ids, the most frequent first, as one piece of memory."""
+    top = words.select("word", "ids", "n").toArrow().sort_by([("n", "descending"), ("word", "ascending")]).select(["word", "ids"])
+    sink = pa.BufferOutputStream()
+    with pa.ipc.new_stream(sink, top.schema) as out:
+        out.write_table(top)
+    return sink.getvalue().to_pybytes()
+
+
+def _column_of(packed: bytes, name: str) -> list:
+    return pa.ipc.open_stream(packed).read_all().column(name).to_pylist()
+
+
 def _assembled(docs: DataFrame, codec: Codec, text: str, key: str, finish, schema: str, resident_words: int, carry: tuple[str, ...] = ()) -> DataFrame:
     """Rows of `finish(blob)` for each row of docs, with its key and a struct of the columns to carry; blob holds the row's ids in the
     codec's width. Rows that share a key must share their text."""
     spark = docs.sparkSession
     words = word_table(docs, codec, text)
     bar = _frequent(words, resident_words)
-    top = words.where(F.col("n") >= bar).select("word", "ids", "n").toArrow().sort_by([("n", "descending"), ("word", "ascending")])
-    shared = spark.sparkContext.broadcast((codec, top.column("word").to_pylist(), top.column("ids").to_pylist()))
+    shared = spark.sparkContext.broadcast((codec, _packed(words.where(F.col("n") >= bar))))
     other = F.struct(F.lit(0).alias("_"), *carry).alias("carry")
     texts = docs.select(F.col(key).alias("key"), F.col(text).cast("string").alias("text"), other)
     names = [x.split(" ")[0] for x in schema.split(", ")]
 
     def rare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        _, keys, _ = shared.value
-        held, cut = frozenset(keys), shared.value[0].cutter()
+        held, cut = frozenset(_column_of(shared.value[1], "word")), shared.value[0].cutter()
         for batch in batches:
             rows: tuple[list, list, list] = ([], [], [])
             for i, value in zip(batch.column("key").to_pylist(), _texts(batch, "text"), strict=True):
@@ -174,7 +187,7 @@ def _assembled(docs: DataFrame, codec: Codec, text: str, key: str, finish, schem
     def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import zstandard
 
-        codec, keys, _ = shared.value
+        codec, keys = shared.value[0], _column_of(shared.value[1], "word")
         get, cut = dict(zip(keys, range(len(keys)), strict=True)).get, codec.cutter()
         pack = zstandard.ZstdCompressor(3).compress
         for batch in batches:
@@ -188,7 +201,7 @@ def _assembled(docs: DataFrame, codec: Codec, text: str, key: str, finish, schem
         import zstandard
 
         unpack = zstandard.ZstdDecompressor().decompress
-        codec, _, table = shared.value
+        codec, table = shared.value[0], _column_of(shared.value[1], "ids")
         end = finish(codec)
         for batch in batches:
             rows = []
@@ -228,13 +241,14 @@ def digests(docs: DataFrame, codec: Codec, key: str = "doc_id", text: str = "tex
 
 def encode(docs: DataFrame, codec: Codec, text: str = "text", to: str = "ids", resident_words: int = RESIDENT_WORDS, keep_text: bool = True) -> DataFrame:
     """docs with a column of ids, array<int>, instead of one of the same name; empty for null or empty texts. Without keep_text they stand in place of the texts."""
-    keyed = stash(docs.drop(to).withColumn("_row", F.monotonically_increasing_id()), "rows")
+    row = fresh("row", docs)
+    keyed = stash(docs.drop(to).withColumn(row, F.monotonically_increasing_id()), "rows")
 
     def finish(codec):
         return lambda ids: (np.frombuffer(ids, codec.width).astype(np.int32),)
 
-    ids = _assembled(keyed, codec, text, "_row", finish, "ids array<int>", resident_words).select(F.col("key").alias("_row"), F.col("ids").alias(to))
-    return (keyed if keep_text else keyed.drop(text)).join(ids, "_row").drop("_row")
+    ids = _assembled(keyed, codec, text, row, finish, "ids array<int>", resident_words).select(F.col("key").alias(row), F.col("ids").alias(to))
+    return (keyed if keep_text else keyed.drop(text)).join(ids, row).drop(row)
 
 
 def encode_copies(docs: DataFrame, codec: Codec, key: str = "doc_id", text: str = "text", to: str = "ids", resident_words: int = RESIDENT_WORDS) -> DataFrame:
