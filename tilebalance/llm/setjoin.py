@@ -28,6 +28,8 @@ from .textkit import chunks, mixed, windows_hash, word_hashes
 
 #: Cells of the frequency table (a power of two), cells in a row of it, members of a group that are compared together.
 CELLS, SLICE, BLOCK = 1 << 20, 1 << 12, 400
+#: Rows of a frame, about.
+FRAME = 4096
 
 
 def shingle_sets(texts: list[bytes], n: int) -> list[np.ndarray]:
@@ -104,16 +106,6 @@ def _frequencies(sets: DataFrame) -> np.ndarray:
     return out
 
 
-def _pack(tokens: np.ndarray) -> bytes:
-    """The upper 48 bits of each hash, which suffice to compare the sets of two documents."""
-    return (tokens >> np.uint64(32)).astype(np.uint32).tobytes() + (tokens >> np.uint64(16)).astype(np.uint16).tobytes()
-
-
-def _unpack(raw: bytes) -> np.ndarray:
-    n = len(raw) // 6
-    return (np.frombuffer(raw, np.uint32, n).astype(np.uint64) << np.uint64(16)) | np.frombuffer(raw, np.uint16, n, 4 * n)
-
-
 def _links(a: np.ndarray, others: list[np.ndarray], percent: int) -> np.ndarray:
     """Whether the sorted set a links with each of the others."""
     sizes = np.fromiter(map(len, others), np.int64, len(others))
@@ -129,6 +121,11 @@ def _links(a: np.ndarray, others: list[np.ndarray], percent: int) -> np.ndarray:
     return out
 
 
+def _share(spark, rows: int, *names: str) -> Column:
+    """A number by which cells, named so, are dealt to frames: as many as the rows need for some thousands in each."""
+    return F.pmod(F.xxhash64(*names), F.lit(max(8 * partitions(spark), rows // FRAME))).alias("share")
+
+
 def linked(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int = 3, percent: int = 90, block: int = BLOCK) -> tuple[DataFrame, DataFrame]:
     """((key, n_shingles, rep) of every row, (a, b) spanning edges between reps, the least keys of equal sets); keys are unique integers."""
     spark = docs.sparkSession
@@ -158,7 +155,7 @@ def linked(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int = 3,
                         m = 0  # too short to link with any other set
                     rare = level[(tokens >> np.uint64(64 - CELLS.bit_length() + 1)).astype(np.int64)]
                     heads.append(tokens[np.lexsort((tokens, rare))[:m]].view(np.int64))
-                    packed.append(_pack(tokens) if grouped[at] else None)
+                    packed.append(tokens.tobytes() if grouped[at] else None)
                 rows_ = [at for _, at in part]
                 yield pa.RecordBatch.from_arrays([batch.column("key").take(pa.array(rows_)), pa.array(np.fromiter(map(len, found), np.int64, len(found))), pa.array(heads, pa.list_(pa.int64())), pa.array(packed, pa.binary()), batch.column("group").take(pa.array(rows_))], ["key", "n", "head", "tokens", "group"])
 
@@ -170,7 +167,7 @@ def linked(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int = 3,
         out = []
         for _, group in frame.groupby(["least", "part"], sort=False):
             group = group.sort_values("key")
-            keys, found = group["key"].tolist(), [_unpack(x) for x in group["tokens"]]
+            keys, found = group["key"].tolist(), [np.frombuffer(x, np.uint64) for x in group["tokens"]]
             leaders: list[int] = []
             for i, tokens in enumerate(found):
                 hit = _links(tokens, [found[j] for j in leaders], percent)
@@ -179,10 +176,9 @@ def linked(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int = 3,
                     leaders.append(i)
         return pd.DataFrame(out, columns=["a", "b"])
 
-    # many small groups share a frame; its size is bounded by the number of shares
+    # many small groups share a frame
     alike_rows = headed.where("group is not null").select("key", "tokens", "group.least", "group.part")
-    shares = 8 * partitions(spark)
-    near = stash(alike_rows.withColumn("share", F.pmod(F.xxhash64("least", "part"), F.lit(shares))).groupBy("share").applyInPandas(lead, "a long, b long"), "leaders")
+    near = stash(alike_rows.select("*", _share(spark, alike.agg(F.sum("k")).first()[0] or 0, "least", "part")).groupBy("share").applyInPandas(lead, "a long, b long"), "leaders")
     groups = stash(connected_components(near), "groups")
     # the matrix: a group is what is known to be linked, in parts of bounded size
     heads = headed.join(groups.withColumnRenamed("node", "key"), "key", "left").select("key", "n", "head", F.coalesce("component", "key").alias("of"))
@@ -198,20 +194,25 @@ def linked(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int = 3,
     # where they meet first, no more than what is left of both can be common
     met = q.join(g, bound).where(rest >= least).groupBy(F.col("q.key").alias("query"), F.col("g.of").alias("of")).agg(F.min(_shared(F.col("q.n"), short, long, percent)).alias("need"))
     met = stash(met, "met")
-    # each group's union, in parts of bounded size, against the foremost tokens of those that met it
+    # each group's union, in parts of bounded size, against the foremost tokens of those that met it, in parts too: a cell
+    # is a part of the group and a part of those
     members_of = headed.join(groups.withColumnRenamed("node", "key"), "key", "left").select("key", "head", F.coalesce("component", "key").alias("of"))
     members_of = members_of.join(met.select("of").distinct(), "of", "left_semi")
-    sizes = members_of.groupBy("of").agg(F.ceil(F.count("*") / block).cast("int").alias("parts"))
-    part = F.pmod(F.xxhash64("key"), F.col("parts")).cast("int").alias("part")
-    each = F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part")
-    share = F.pmod(F.xxhash64("of", "part"), F.lit(shares)).alias("share")
-    united = members_of.join(sizes, "of").select("of", part, F.lit(-1).cast("long").alias("query"), "head", F.lit(-1).cast("long").alias("need"))
+    asked = met.groupBy("of").agg(F.count("*").alias("asked"))
+    sizes = members_of.groupBy("of").agg(F.count("*").alias("members")).join(asked, "of")
+    sizes = stash(sizes.withColumns({"parts": F.ceil(F.col("members") / block).cast("int"), "turns": F.ceil(F.col("asked") / (4 * block)).cast("int")}), "sizes")
+    held_in = sizes.agg(F.sum(F.col("members") * F.col("turns") + F.col("asked") * F.col("parts"))).first()[0] or 0
+    sizes = sizes.select("of", "parts", "turns")
+    part, turn = F.pmod(F.xxhash64("key"), F.col("parts")).cast("int").alias("part"), F.pmod(F.xxhash64("query"), F.col("turns")).cast("int").alias("turn")
+    each = lambda n, name: F.explode(F.sequence(F.lit(0), F.col(n) - 1)).alias(name)
     heads = headed.select(F.col("key").alias("query"), "head")
-    bounded = met.join(sizes, "of").join(heads, "query").select("of", each, "query", "head", "need")
+    united = members_of.join(sizes, "of").select("of", part, each("turns", "turn"), F.lit(-1).cast("long").alias("query"), "head", F.lit(-1).cast("long").alias("need"))
+    bounded = met.join(sizes, "of").join(heads, "query").select("of", each("parts", "part"), turn, "query", "head", "need")
+    cells = united.union(bounded)
 
     def qualify(frame: pd.DataFrame) -> pd.DataFrame:
         out = []
-        for (of, k), group in frame.groupby(["of", "part"], sort=False):
+        for (of, k, t), group in frame.groupby(["of", "part", "turn"], sort=False):
             own = group["need"].to_numpy() < 0
             union = np.unique(np.concatenate(group["head"][own].tolist() or [np.zeros(0, np.int64)]))
             asked = group[~own]
@@ -220,12 +221,14 @@ def linked(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int = 3,
                 every = np.concatenate(asked["head"].tolist())
                 hit = union[np.minimum(np.searchsorted(union, every), len(union) - 1)] == every
                 common = np.bincount(np.repeat(np.arange(len(asked)), lengths), hit, len(asked))
-                out.extend((q, of, k) for q in asked["query"].to_numpy()[common >= asked["need"].to_numpy()])
-        return pd.DataFrame(out, columns=["query", "of", "part"])
-
-    opened = united.union(bounded).withColumn("share", share).groupBy("share").applyInPandas(qualify, "query long, of long, part int")
-    opened = stash(opened, "opened")
-    inside = members_of.select("of", "key").join(sizes, "of").select("of", part, "key").join(opened.select("of", "part").distinct(), ["of", "part"], "left_semi")
+                out.extend((q, of, k, t) for q in asked["query"].to_numpy()[common >= asked["need"].to_numpy()])
+        return pd.DataFrame(out, columns=["query", "of", "part", "turn"])
+
+    cells = cells.select("*", _share(spark, held_in, "of", "part", "turn"))
+    opened = stash(cells.groupBy("share").applyInPandas(qualify, "query long, of long, part int, turn int"), "opened")
+    inside = members_of.select("of", "key").join(sizes, "of").select("of", part, "key").join(opened.select("of", "part", "turn").distinct(), ["of", "part"])
+    inside = stash(inside.select("of", "part", "turn", "key"), "inside")
+    met_in = opened.count() + inside.count()
     wanted = opened.select(F.col("query").alias("key")).union(inside.select("key")).distinct()
     small = texts.join(wanted, "key")
 
@@ -233,25 +236,25 @@ def linked(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int = 3,
         for batch in batches:
             for part in chunks(_texts(batch), lambda r: len(r[1])):
                 found = shingle_sets([t for _, t in part], n)
-                yield pa.RecordBatch.from_arrays([pa.array([i for i, _ in part], pa.int64()), pa.array([_pack(x) for x in found], pa.binary())], ["key", "tokens"])
+                yield pa.RecordBatch.from_arrays([pa.array([i for i, _ in part], pa.int64()), pa.array([x.tobytes() for x in found], pa.binary())], ["key", "tokens"])
 
     held = stash(small.mapInArrow(packed, "key long, tokens binary"), "held")
-    inside = inside.join(held, "key").select("of", "part", "key", "tokens", F.lit(False).alias("asks"))
-    asking = opened.join(held.withColumnRenamed("key", "query"), "query").select("of", "part", F.col("query").alias("key"), "tokens", F.lit(True).alias("asks"))
+    inside = inside.join(held, "key").select("of", "part", "turn", "key", "tokens", F.lit(False).alias("asks"))
+    asking = opened.join(held.withColumnRenamed("key", "query"), "query").select("of", "part", "turn", F.col("query").alias("key"), "tokens", F.lit(True).alias("asks"))
 
     def open_(frame: pd.DataFrame) -> pd.DataFrame:
         out = []
-        for _, group in frame.groupby(["of", "part"], sort=False):
+        for _, group in frame.groupby(["of", "part", "turn"], sort=False):
             asks = group["asks"].to_numpy()
             keys = group["key"].to_numpy()[~asks]
-            found = [_unpack(x) for x in group["tokens"][~asks]]
+            found = [np.frombuffer(x, np.uint64) for x in group["tokens"][~asks]]
             for query, raw in zip(group["key"][asks], group["tokens"][asks], strict=True):
-                hit = _links(_unpack(raw), found, percent)
+                hit = _links(np.frombuffer(raw, np.uint64), found, percent)
                 if hit.any():  # the members of a group are linked already
                     out.append((query, keys[hit.argmax()]))
         return pd.DataFrame(out, columns=["a", "b"])
 
-    together = inside.union(asking).withColumn("share", share)
+    together = inside.union(asking).select("*", _share(spark, met_in, "of", "part", "turn"))
     late = stash(together.groupBy("share").applyInPandas(open_, "a long, b long"), "late")
     return members, groups.select(F.col("node").alias("a"), F.col("component").alias("b")).union(late)
 
