@@ -24,6 +24,8 @@ from .common import connected_components, partitions, stash
 
 #: Cosine of a link; tables, buckets a vector looks into in each, and vectors in a block at most.
 COSINE, TABLES, PROBES, BLOCK = 0.93, 8, 4, 2048
+#: Rows of a frame, about.
+FRAME = 1 << 16
 
 
 def _rotate(x: np.ndarray, signs: np.ndarray) -> np.ndarray:
@@ -170,8 +172,8 @@ def links(firsts: DataFrame, cosine: float = COSINE, tables: int = TABLES, probe
                 break
         return pd.DataFrame({"rep": ids, "links": count.astype(np.int64), "parent": ids[parent]})
 
-    # many buckets of few vectors share a frame
-    shares = 8 * partitions(firsts.sparkSession)
+    # many buckets of few vectors share a frame, of some ten thousand rows at most whatever the input
+    shares = max(8 * partitions(firsts.sparkSession), held.count() * tables * probes // FRAME)
     return met.withColumn("share", F.pmod(F.xxhash64("key", "row", "column"), F.lit(shares))).groupBy("share").applyInPandas(compare, "rep long, links long, parent long")
 
 
