@@ -5,6 +5,7 @@ from __future__ import annotations
 import atexit
 import tempfile
 import uuid
+import weakref
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -13,6 +14,7 @@ from pyspark.sql import functions as F
 SPACES = r"[\x20\x09-\x0D]+"
 WORD = r"[^\x20\x09-\x0D]+"
 _stored: list[tuple[SparkSession, str]] = []
+_paths: dict[int, tuple[weakref.ref, str]] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -29,23 +31,39 @@ def shared_dir(spark: SparkSession) -> str:
 def stash(df: DataFrame, label: str) -> DataFrame:
     """Cut lineage: write to the shared folder and read back, so that a lost executor costs nothing done before.
 
-    Files are removed when the driver's program ends. What the step shuffled is not needed again: collecting
-    the driver's garbage has Spark remove it from the disks now, not when the driver's memory runs short."""
-    path = f"{shared_dir(df.sparkSession)}/{label}-{uuid.uuid4().hex}"
+    Files are removed when the driver's program ends, or by `discard`. What earlier steps shuffled is not needed again:
+    collecting the driver's garbage has Spark remove it from the disks now, not when the driver's memory runs short."""
+    spark = df.sparkSession
+    spark.sparkContext._jvm.System.gc()
+    path = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
+    spark.sparkContext._jvm.System.gc()
     if not _stored:
         atexit.register(_forget)
-    _stored.append((df.sparkSession, path))
-    df.sparkSession.sparkContext._jvm.System.gc()
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    stored = spark.read.schema(df.schema).parquet(path)
+    _stored.append((spark, path))
+    _paths[id(stored)] = weakref.ref(stored), path
+    return stored
+
+
+def discard(*stored: DataFrame) -> None:
+    """Remove the files of what was stashed; nothing that still has to read them may follow."""
+    for df in stored:
+        _, path = _paths.pop(id(df))
+        _stored.remove((df.sparkSession, path))
+        _delete(df.sparkSession, path)
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+    where = jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(conf).delete(where, True)
 
 
 def _forget() -> None:
     for spark, path in _stored:
         try:
-            jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
-            where = jvm.org.apache.hadoop.fs.Path(path)
-            where.getFileSystem(conf).delete(where, True)
+            _delete(spark, path)
         except Exception:  # noqa: BLE001  the session has ended before: the files stay in the checkpoint folder
             return
 
@@ -85,6 +103,7 @@ def connected_components(edges: DataFrame) -> DataFrame:
         large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
         lower = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(lower, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).union(lower.select("u", F.col("m").alias("v")))
-        now = stash(small.distinct(), "edges")
+        before, now = now, stash(small.distinct(), "edges")
+        discard(before)
     roots = now.select(F.col("v").alias("node")).distinct()
     return now.select(F.col("u").alias("node"), F.col("v").alias("component")).union(roots.select("node", F.col("node").alias("component")))

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import connected_components, partitions, stash
+from .common import connected_components, discard, partitions, stash
 from .textkit import chunks, mixed, windows_hash, word_hashes
 
 #: Cells of the frequency table (a power of two), cells in a row of it, members of a group that are compared together.
@@ -228,6 +228,7 @@ def linked(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int = 3,
     opened = stash(cells.groupBy("share").applyInPandas(qualify, "query long, of long, part int, turn int"), "opened")
     inside = members_of.select("of", "key").join(sizes, "of").select("of", part, "key").join(opened.select("of", "part", "turn").distinct(), ["of", "part"])
     inside = stash(inside.select("of", "part", "turn", "key"), "inside")
+    discard(met)
     met_in = opened.count() + inside.count()
     wanted = opened.select(F.col("query").alias("key")).union(inside.select("key")).distinct()
     small = texts.join(wanted, "key")
@@ -256,6 +257,7 @@ def linked(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int = 3,
 
     together = inside.union(asking).select("*", _share(spark, met_in, "of", "part", "turn"))
     late = stash(together.groupBy("share").applyInPandas(open_, "a long, b long"), "late")
+    discard(held, headed)
     return members, groups.select(F.col("node").alias("a"), F.col("component").alias("b")).union(late)
 
 
