@@ -169,10 +169,10 @@ def test_edges(spark):
 
 
 def test_levels_engine_equals_the_driver_engine(spark, loads):
-    from tilebalance.plans.simulate import _shared
+    from tilebalance.operators.lineage import shared
     from tilebalance.sources.tables import particles
 
-    _shared(spark)
+    shared(spark)
     grid = grid_of("EV")
     table = tile_load(particles(spark, SF, "EV"), grid)
     for parts, first in ((5, "x"), (7, "y")):

@@ -11,7 +11,9 @@ from tilebalance.operators.cost import gather, tile_load
 from tilebalance.operators.grid import Grid
 from tilebalance.plans.methods import at, costs
 from tilebalance.plans.policy import Every, Never, Threshold, fresh_strips, full, neighbours, tether_or_full, tethered
-from tilebalance.plans.simulate import Run, _shared, run
+from tilebalance.operators import diffusion
+from tilebalance.operators.lineage import shared
+from tilebalance.plans.simulate import Run, phases, run
 from tilebalance.sources import sinks
 from tilebalance.sources.tables import grid_of, particles, two_stream
 from tilebalance.sources.twostream import TwoStream
@@ -76,7 +78,7 @@ def test_meshes(spark):
     for made in (tri, mesh.hybrid(spark, 8, grid), mesh.quads(spark, 8, grid)):
         assert mesh.locate_elements(points, made, grid).count() == 500  # every point is in one element
     assert sorted(map(tuple, mesh.locate_elements(points, mesh.quads(spark, 8, grid), grid).select("pid_key", "elem").collect())) != []
-    _shared(spark)
+    shared(spark)
     parts = mesh.graph_cut(mesh.quads(spark, 8, grid), 4, rounds=3)
     sizes = [r["count"] for r in parts.groupBy("part").count().collect()]
     assert len(sizes) == 4 and sum(sizes) == 64 and max(sizes) <= 18
@@ -209,3 +211,53 @@ def test_registered_functions(spark):
     assert metrics.phase_split({"push": 3.0, "solve": 1.0}) == {"push": 0.75, "solve": 0.25}
     df, took = metrics.timed(lambda: spark.range(10).toDF("id"))
     assert df.count() == 10 and took > 0
+
+
+def test_equal_particles_stay_apart(spark):
+    grid = Grid(8, 8, 1 << 12, 1 << 12)
+    rows = [(1, 100, 200, 0, 0, 1, 0), (1, 100, 200, 0, 0, 1, 0), (None, 4095, 1, 0, 0, 1, 0), (None, 4095, 1, 0, 0, 1, 0)]
+    df = spark.createDataFrame(rows, schema.PARTICLE)
+    for elements in (mesh.quads(spark, 8, grid), mesh.hybrid(spark, 8, grid)):
+        found = mesh.locate_elements(df, elements, grid).collect()
+        assert len(found) == 4 and len({r["elem"] for r in found}) == 2
+    assert mesh.locate_elements(df.limit(0), mesh.quads(spark, 8, grid), grid).count() == 0
+
+
+@pytest.mark.parametrize(("n", "parts"), [(1, 4), (10, 4), (103, 8), (64, 8)])
+def test_even_runs_are_those_of_ntile(spark, n, parts):
+    from pyspark.sql import Window
+
+    rows = spark.range(n).select(F.col("id").alias("elem"), F.pmod(F.col("id") * 37, F.lit(41)).alias("order"))
+    want = rows.select("elem", (F.ntile(parts).over(Window.orderBy("order", "elem")) - 1).cast("long").alias("part"))
+    got, total = mesh._even_runs(rows, parts, cells=7)
+    assert total == n and sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
+
+
+def test_pairs_need_no_global_synchronisation(spark):
+    grid, df = grid_of("EV"), particles(spark, SF, "EV")
+    first = lambda loads: partition.strips(loads, [4, 4])
+    syncs = {name: run(df, Run(grid, 8, 3, "site", Every(1, policy), first))[1].orderBy(F.desc("t")).first()["syncs"] for name, policy in (("pairs", neighbours(None)), ("all", full))}
+    assert syncs == {"pairs": 1, "all": 4}
+    with pytest.raises(ValueError, match="too many"):
+        run(df, Run(Grid(512, 512, 1 << 20, 1 << 20), 32))
+
+
+def test_phases_of_a_step(spark):
+    took = phases(two_stream(spark, 2000), Run(Grid(16, 16, 1 << 20, 1 << 20), 4, 1, "site", Every(1, tethered())))
+    share = metrics.phase_split(took)
+    assert set(share) == {"deposit", "field", "push", "rebalance", "move"} and min(took.values()) > 0 and sum(share.values()) == pytest.approx(1)
+
+
+def test_long_diffusion_keeps_its_plan_short(spark):
+    shared(spark)
+    loads = spark.createDataFrame([(i, 100 * i) for i in range(6)], "pid long, load long")
+    for history in (diffusion.diffuse(loads, diffusion.chain(spark, 6).select("a", "b").distinct(), steps=7), diffusion.exchange(loads, diffusion.chain(spark, 6), 7)):
+        rows = diffusion.convergence(history).orderBy("t").collect()
+        assert [r["t"] for r in rows] == list(range(8)) and all(r["total"] == pytest.approx(1500) for r in rows) and rows[-1]["spread"] < rows[0]["spread"]
+
+
+def test_sources_without_a_number(spark):
+    from tilebalance.sources.tables import document_items
+
+    rows = spark.createDataFrame([(1, "t", "en", "web", 1), (2, "t", "en", "src12", 1), (3, "t", "en", None, 1)], "doc_id long, text string, lang string, source string, n_chars long")
+    assert {r["pid_key"]: r["y"] for r in document_items(rows).collect()} == {1: 0, 2: 12, 3: None}

@@ -10,14 +10,19 @@ from pyspark.sql import functions as F
 
 from .cost import LoadMap
 from .grid import div
+from .lineage import stored
 from .partition import Cut
 
+#: Steps after which loads are stored: a step's plan holds that of the step before several times.
+STORED = 2
 
-def diffuse(loads: DataFrame, links: DataFrame, alpha: float | str = "uniform", created: DataFrame | None = None, consumed: DataFrame | None = None, steps: int = 1, store=None) -> DataFrame:
+
+def diffuse(loads: DataFrame, links: DataFrame, alpha: float | str = "uniform", created: DataFrame | None = None, consumed: DataFrame | None = None, steps: int = 1, store=stored) -> DataFrame:
     """(t, pid, load) after each of 0..steps: every link carries alpha of its ends' difference, and load is created and consumed.
 
     loads: (pid, load). links: (a, b), with a column alpha of their own if alpha is `link`. `uniform` is 1 / (largest
-    degree + 1). created, consumed: (pid, load) per step."""
+    degree + 1). created, consumed: (pid, load) per step. Loads are stored every other step, so the plan stays
+    in proportion to the steps."""
     both = links.select("a", "b", *(["alpha"] if alpha == "link" else [])).unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b"), *(["alpha"] if alpha == "link" else [])))
     if alpha == "uniform":
         widest = both.groupBy("a").count().agg(F.max("count").alias("degree"))
@@ -36,7 +41,7 @@ def diffuse(loads: DataFrame, links: DataFrame, alpha: float | str = "uniform",
         flow = both.join(a, "a").join(b, "b").select(F.col("a").alias("pid"), (F.col("alpha") * (F.col("theirs") - F.col("mine"))).alias("g"))
         flow = flow if given is None else flow.union(given)
         now = now.join(flow.groupBy("pid").agg(F.sum("g").alias("g")), "pid", "left").select("pid", (F.col("load") + F.coalesce("g", F.lit(0.0))).alias("load"))
-        now = store(now) if store else now
+        now = store(now) if t % STORED == 0 else now
         out = out.union(now.select(F.lit(t).cast("long").alias("t"), "pid", "load"))
     return out
 
@@ -61,8 +66,8 @@ def active(links: DataFrame, t: int) -> DataFrame:
     return links.where(F.col("colour") == t % 4)
 
 
-def exchange(loads: DataFrame, links: DataFrame, steps: int, store=None) -> DataFrame:
-    """(t, pid, load) after each of 0..steps, the active pairs of each step meeting at their mean."""
+def exchange(loads: DataFrame, links: DataFrame, steps: int, store=stored) -> DataFrame:
+    """(t, pid, load) after each of 0..steps, the active pairs of each step meeting at their mean; stored every other step."""
     now = loads.select("pid", F.col("load").cast("double").alias("load"))
     out = now.select(F.lit(0).cast("long").alias("t"), "pid", "load")
     for t in range(1, steps + 1):
@@ -70,7 +75,7 @@ def exchange(loads: DataFrame, links: DataFrame, steps: int, store=None) -> Data
         pair = turn.select("a", "b").union(turn.select("b", "a"))
         other = pair.join(now.select(F.col("pid").alias("b"), F.col("load").alias("theirs")), "b").select(F.col("a").alias("pid"), "theirs")
         now = now.join(other, "pid", "left").select("pid", F.when(F.col("theirs").isNull(), F.col("load")).otherwise((F.col("load") + F.col("theirs")) / 2).alias("load"))
-        now = store(now) if store else now
+        now = store(now) if t % STORED == 0 else now
         out = out.union(now.select(F.lit(t).cast("long").alias("t"), "pid", "load"))
     return out
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .grid import Grid, div, tile_x, tile_y
@@ -69,23 +69,25 @@ def locate_quads(particles: DataFrame, k: int, grid: Grid) -> DataFrame:
 
 
 def locate_elements(particles: DataFrame, elements: DataFrame, grid: Grid) -> DataFrame:
-    """Particles with the element they are in, of any convex mesh; one on a shared edge gets the lowest number.
+    """Particles with the element they are in, of any convex mesh; one on a shared edge gets the lowest number, and
+    one outside of the mesh is left out. Equal particles stay apart.
 
-    Every element is sent to the tiles that its bounding box meets and joined there by tile: an equality join
-    whose sides of the polygon are tested by orientation."""
+    Every element is sent to the tiles that its bounding box meets; a tile's elements are one row, which its particles
+    are joined with, so that particles are shuffled once at most. Sides of the polygon are tested by orientation."""
     side = lambda c, f: f(F.transform("verts", lambda v: v[c]))
     clip = lambda z, size: F.least(z, F.lit(size - 1))
     span = lambda c, n, size: F.explode(F.sequence(div(clip(side(c, F.array_min), size) * n, size), div(clip(side(c, F.array_max), size) * n, size)))
     cover = elements.select("elem", "verts", span("x", grid.n, grid.lx).alias("ti")).select("elem", "verts", "ti", span("y", grid.m, grid.ly).alias("tj"))
-    n = F.size("verts")
-    turn = lambda i: (
-        (F.get("verts", F.pmod(i + 1, n))["x"] - F.get("verts", i)["x"]).cast("double") * (F.col("y") - F.get("verts", i)["y"])
-        - (F.get("verts", F.pmod(i + 1, n))["y"] - F.get("verts", i)["y"]).cast("double") * (F.col("x") - F.get("verts", i)["x"])
-    )
-    inside = F.forall(F.sequence(F.lit(0), n - 1), lambda i: turn(i) >= 0)
-    located = particles.withColumns({"ti": tile_x(grid), "tj": tile_y(grid)})
-    found = located.join(cover, ["ti", "tj"]).where(inside)
-    return found.groupBy(*particles.columns).agg(F.min("elem").alias("elem"))
+
+    def turn(v: Column, i: Column) -> Column:
+        a, b = F.get(v, i), F.get(v, F.pmod(i + 1, F.size(v)))
+        return (b["x"] - a["x"]).cast("double") * (F.col("y") - a["y"]) - (b["y"] - a["y"]).cast("double") * (F.col("x") - a["x"])
+
+    inside = lambda e: F.forall(F.sequence(F.lit(0), F.size(e["verts"]) - 1), lambda i: turn(e["verts"], i) >= 0)
+    near = cover.groupBy("ti", "tj").agg(F.collect_list(F.struct("elem", "verts")).alias("near"))
+    located = particles.withColumns({"ti": tile_x(grid), "tj": tile_y(grid)}).join(near, ["ti", "tj"])
+    elem = F.array_min(F.transform(F.filter("near", inside), lambda e: e["elem"]))
+    return located.select(*[F.col(c) for c in particles.columns if c != "elem"], elem.alias("elem")).where("elem is not null")
 
 
 def incidence(elements: DataFrame) -> DataFrame:
@@ -111,20 +113,40 @@ def counts(elements: DataFrame) -> DataFrame:
     return n.join(e).join(v)
 
 
+def _even_runs(ordered: DataFrame, parts: int, cells: int = 1 << 12) -> tuple[DataFrame, int]:
+    """(elem, part) in runs along `order` that differ by one at most, and the number of elements. Elements are ranked
+    in cells of the order, each behind the counts of the cells before it, so no task ranks them all."""
+    low, high = ordered.agg(F.min("order"), F.max("order")).first()
+    if low is None:
+        return ordered.select("elem", F.lit(0).cast("long").alias("part")), 0
+    cell = F.call_function("div", F.col("order") - low, F.lit(max(1, -(-(high - low + 1) // cells))))
+    placed = ordered.select("elem", "order", cell.alias("cell"))
+    counts = {r["cell"]: r["count"] for r in placed.groupBy("cell").count().collect()}  # a row for each cell at most
+    total, before, rows = sum(counts.values()), 0, []
+    for c in sorted(counts):
+        rows.append((c, before))
+        before += counts[c]
+    starts = F.broadcast(ordered.sparkSession.createDataFrame(rows, "cell long, before long"))
+    rank = F.col("before") + F.row_number().over(Window.partitionBy("cell").orderBy("order", "elem")) - 1
+    # the first runs hold one element more, as many as the rest of the division
+    size, more = divmod(total, parts)
+    long = more * (size + 1)
+    part = F.when(F.col("rank") < long, div(F.col("rank"), size + 1)).otherwise(F.lit(more) + div(F.col("rank") - long, max(1, size)))
+    return placed.join(starts, "cell").select("elem", rank.alias("rank")).select("elem", part.cast("long").alias("part")), total
+
+
 def graph_cut(elements: DataFrame, parts: int, rounds: int = 8, slack: float = 0.05, store=None) -> DataFrame:
     """(elem, part): the off-line baseline. Elements start in equal runs along a space-filling order and pass messages
     to their neighbours; each round those with more neighbours in another part go there, while its size stays within the slack.
 
     As costly as the name suggests: each round joins the whole adjacency."""
     from ..functions.exprs import interleave
-    from pyspark.sql import Window
+    from .lineage import stored
 
-    store = store or (lambda df: df.checkpoint())
+    store = store or stored
     links = store(adjacency(elements))
-    order = interleave(F.col("bx"), F.col("by"))
-    ranked = elements.select("elem", (F.ntile(parts).over(Window.orderBy(order, "elem")) - 1).cast("long").alias("part"))
-    now = store(ranked)
-    total = elements.count()
+    now, total = _even_runs(elements.select("elem", interleave(F.col("bx"), F.col("by")).alias("order")), parts)
+    now = store(now)
     most = int((1 + slack) * total / parts) + 1
     for r in range(rounds):
         near = links.join(now.select(F.col("elem").alias("b"), F.col("part").alias("to")), "b").groupBy(F.col("a").alias("elem"), "to").agg(F.count("*").alias("n"))

@@ -242,9 +242,9 @@ _K = "CASE WHEN json_extract_string(props, '$.k') IS NULL THEN NULL ELSE json_ex
 @query("part_share_levels", o.join(_loads() + o.share("", 32, 32, 8), LEAVES))
 def part_share_levels(spark, sf):
     """The level-wise engine: no tile comes to the driver."""
-    from .simulate import _shared
+    from ..operators.lineage import shared
 
-    _shared(spark)
+    shared(spark)
     grid = grid_of("EV")
     return partition.share_cut_levels(tile_load(particles(spark, sf, "EV"), grid), grid, 8)
 
@@ -342,9 +342,9 @@ def part_share_3d(spark, sf):
 @query("mesh_graph_cut")
 def mesh_graph_cut(spark, sf):
     """Rows only: the off-line baseline's parts of a hybrid mesh; its invariants are tested."""
-    from .simulate import _shared
+    from ..operators.lineage import shared
 
-    _shared(spark)
+    shared(spark)
     return mesh.graph_cut(mesh.hybrid(spark, 8, Grid(8, 8, 1 << 12, 1 << 12)), 4, rounds=2)
 
 

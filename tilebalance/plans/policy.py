@@ -30,8 +30,13 @@ def fresh_strips(cut: Cut, loads: LoadMap, t: int) -> Cut:
 
 
 def neighbours(column_period: int | None = 4, eps: float = 0.0) -> Rebalancer:
-    """One step of exchange between strips; it needs no load of any other pair."""
-    return lambda cut, loads, t: strip_exchange(cut, loads, t, column_period, eps)
+    """One step of exchange between strips; it needs no load of any other pair, so no owner waits for all others."""
+
+    def pairwise(cut: Cut, loads: LoadMap, t: int) -> Cut:
+        return strip_exchange(cut, loads, t, column_period, eps)
+
+    pairwise.global_ = False
+    return pairwise
 
 
 @dataclass(frozen=True)

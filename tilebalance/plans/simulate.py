@@ -13,13 +13,18 @@ from pyspark.sql import functions as F
 from ..operators import metrics
 from ..operators.cost import gather, tile_load
 from ..operators.grid import Grid, locate
+from ..operators.lineage import shared, stored
 from ..operators.partition import Cut, imbalance, share_cut
-from ..operators.pic import push, step
-from ..operators.placement import site_owner
+from ..operators.pic import deposit, interpolate, push, step
+from ..operators.placement import move, site_owner
 from ..schema import STEP_METRIC
 from .policy import Every, Never, Threshold
 
 
+#: Rows of tiles by owners that a run gathers in a step at most.
+GATHERED = 1 << 22
+
+
 @dataclass(frozen=True)
 class Run:
     """placement: `site` or `fixed` ownership. initial: the first cut. kick: steps with fields instead of drift alone.
@@ -43,8 +48,10 @@ def run(particles: DataFrame, how: Run) -> tuple[DataFrame, DataFrame]:
 
     Under drift alone the state of any step is a projection of the last checkpoint, so nothing is written between."""
     spark = particles.sparkSession
-    _shared(spark)
+    shared(spark)
     grid = how.grid
+    if grid.tiles * how.parts > GATHERED:
+        raise ValueError("too many tiles and owners for a table of both on the driver; cut by levels instead")
     static = tile_load(None, grid, how.elements) if how.elements is not None and how.cost[1] else None
     fixed_cost = gather(static, grid, "elements").cost * how.cost[1] if static is not None else 0
 
@@ -64,7 +71,7 @@ def run(particles: DataFrame, how: Run) -> tuple[DataFrame, DataFrame]:
         if t % how.checkpoint == 0 or how.kick:
             state = state.checkpoint()
         now = state.withColumn("site", cut.owner(*_tile(grid)))
-        per = locate(now, grid).groupBy("ti", "tj", "owner", "site").agg(F.count("*").alias("n")).toArrow()  # at most tiles x owners rows
+        per = locate(now, grid).groupBy("ti", "tj", "owner", "site").agg(F.count("*").alias("n")).toArrow()  # at most tiles x owners rows, as checked
         ti, tj, own, site, n = (per.column(c).to_numpy() for c in ("ti", "tj", "owner", "site", "n"))
         counted = np.zeros((grid.n, grid.m), np.int64)
         np.add.at(counted, (ti, tj), n)
@@ -73,7 +80,7 @@ def run(particles: DataFrame, how: Run) -> tuple[DataFrame, DataFrame]:
         due = how.policy.due(cut, loads, t)
         if due:
             cut = how.policy.rebalance(cut.reloaded(loads), loads, t)
-            syncs += 1
+            syncs += getattr(how.policy.rebalance, "global_", True)  # pairs wait for each other alone
         cut = cut.reloaded(loads)
         new = cut.owners()[ti, tj]
         if how.placement == "site" or due:
@@ -88,6 +95,32 @@ def run(particles: DataFrame, how: Run) -> tuple[DataFrame, DataFrame]:
     return state, spark.createDataFrame(rows, STEP_METRIC)
 
 
+def phases(particles: DataFrame, how: Run, cut: Cut | None = None) -> dict[str, float]:
+    """Seconds of each phase of one step with fields, every one made whole by itself from stored results of the one before:
+    deposit, field, interpolation with push, counting and cutting, and moving those that change their owner."""
+    from ..operators.fields import tile_gradient
+
+    grid, seconds = how.grid, {}
+    cut = cut or share_cut(gather(tile_load(particles, grid), grid), how.parts)
+    now = stored(site_owner(particles, cut, grid))
+
+    def phase(name: str, make: Callable[[], DataFrame]) -> DataFrame:
+        began = time.perf_counter()
+        out = stored(make())
+        seconds[name] = time.perf_counter() - began
+        return out
+
+    charge = phase("deposit", lambda: deposit(now, grid, "tile"))
+    field = phase("field", lambda: tile_gradient(charge, grid))
+    moved = phase("push", lambda: push(interpolate(now, field, grid, how.placement), grid, force=True))
+    began = time.perf_counter()
+    after = how.policy.rebalance(cut, gather(tile_load(moved, grid), grid), 1)
+    seconds["rebalance"] = time.perf_counter() - began
+    owned = site_owner(moved.withColumnRenamed("owner", "owner0"), after, grid)
+    phase("move", lambda: move(owned, how.parts) if how.placement == "site" else owned)
+    return seconds
+
+
 def _tile(grid: Grid):
     from ..operators.grid import tile_x, tile_y
 
@@ -99,12 +132,3 @@ def _metric(t: int, counted: np.ndarray, cut: Cut, tiles_moved: int, moved: int,
     seen = int(max((x.x1 - x.x0) * (x.y1 - x.y0) for x in cut.leaves)) if held is None else int(held[1].max())
     border = sum(2 * (x.x1 - x.x0 + x.y1 - x.y0) for x in cut.leaves)
     return (t, int(counted.sum()), max(loads), sum(loads) / len(loads), imbalance(loads), tiles_moved, moved, border, metrics.mean_aspect(cut), seen, syncs, bool(due), round((time.perf_counter() - began) * 1000, 3))
-
-
-def _shared(spark) -> None:
-    """A checkpoint folder: the one that the session names, or a temporary one where it names none."""
-    context = spark.sparkContext
-    if not context._jsc.sc().getCheckpointDir().isDefined():
-        import tempfile
-
-        context.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="tilebalance-"))

@@ -10,7 +10,7 @@ from ..operators.grid import Grid, locate
 from ..oracle import text as o
 from ..sources.tables import DOMAINS, grid_of, particles, two_stream
 from .methods import _loads, _owner_map, costs, gradient_sql, mesh_sql
-from .policy import Never
+from .policy import Every, Never, Threshold
 from .registry import query
 from .simulate import Run, run
 
@@ -156,6 +156,37 @@ def w3_per_step(spark, sf):
     return out
 
 
+def _run_sql(k: int, steps: int) -> str:
+    """A run under site ownership whose cut is made anew at every k-th step."""
+    ctes, last = [], 0
+    for t in range(0, steps + 1, k):
+        ctes += _loads(t=t, tag=f"b{t}") + o.share(f"b{t}", 32, 32, 8) + [(f"mb{t}", _owner_map(f"b{t}"))]
+    picks = []
+    for t in range(steps + 1):
+        last = t // k * k
+        ctes += [(f"q{t}", o.particles("EV", t)), (f"o{t}", f"SELECT z.pid_key, z.ti, z.tj, m.pid FROM (SELECT pid_key, (x * 32) // 2592000000000 AS ti, (y * 32) // 65536 AS tj FROM q{t}) z JOIN mb{last} m USING (ti, tj)")]
+        if t:
+            picks.append(f"SELECT {t}::BIGINT AS t, {t % k == 0} AS rebalanced, {1 + t // k}::BIGINT AS syncs, max(n)::BIGINT AS max_load, round(max(n) * 8 / sum(n), 6)::DOUBLE AS imbalance, max(f)::BIGINT AS elements_seen_max, (SELECT count(*) FROM o{t} a JOIN o{t - 1} b USING (pid_key) WHERE a.pid <> b.pid) AS particles_moved FROM (SELECT pid, count(*) AS n, count(DISTINCT ti * 32 + tj) AS f FROM o{t} GROUP BY 1)")
+    return o.join(ctes, " UNION ALL ".join(picks))
+
+
+def _run(spark, sf, policy, steps: int):
+    _, history = run(particles(spark, sf, "EV"), Run(grid_of("EV"), 8, steps, "site", policy))
+    return history.where("t > 0").select("t", "rebalanced", "syncs", "max_load", F.round("imbalance", 6).alias("imbalance"), "elements_seen_max", "particles_moved")
+
+
+@query("run_every_2", _run_sql(2, 4))
+def run_every_2(spark, sf):
+    """A whole run with a cut from scratch at every second step."""
+    return _run(spark, sf, Every(2), 4)
+
+
+@query("run_threshold", _run_sql(1, 3))
+def run_threshold(spark, sf):
+    """A whole run with a cut from scratch whenever the greatest load is above the mean, which it is at each step."""
+    return _run(spark, sf, Threshold(1.0), 3)
+
+
 # mesh kinds
 
 
@@ -219,9 +250,9 @@ def w5_two_stream_energy(spark, sf):
     from ..operators.fields import tile_gradient
 
     grid, df, rows = Grid(64, 1, _L, _L), two_stream(spark, _N, _L, _L), []
-    from .simulate import _shared
+    from ..operators.lineage import shared
 
-    _shared(spark)
+    shared(spark)
     for t in range(4):
         field = tile_gradient(pic.deposit(df, grid), grid)
         rows.append(field.agg(F.lit(t).cast("long").alias("t"), F.sum(F.col("fx").cast("double") ** 2).alias("energy")))

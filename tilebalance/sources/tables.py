@@ -82,7 +82,9 @@ def _scattered(key: str) -> Column:
 
 
 def document_items(df: DataFrame) -> DataFrame:
-    return _particles(df, F.col("doc_id"), _scattered("doc_id"), F.regexp_extract("source", r"(\d+)", 1).cast("long"), 0, 0, F.col("n_chars"), 0)
+    """Documents by scattered id and the number in the name of their source; 0 for a name without one."""
+    number = F.when(F.col("source").isNotNull(), F.coalesce(F.regexp_extract("source", r"(\d+)", 1).try_cast("long"), F.lit(0).cast("long")))
+    return _particles(df, F.col("doc_id"), _scattered("doc_id"), number, 0, 0, F.col("n_chars"), 0)
 
 
 def page_items(df: DataFrame) -> DataFrame:

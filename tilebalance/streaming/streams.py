@@ -14,6 +14,7 @@ from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 from ..operators.cost import LoadMap, gather, tile_load
 from ..operators.grid import Grid, locate
 from ..operators.partition import Cut, share_cut, tethered_or_full
+from ..operators.placement import BROADCAST_TILES
 
 
 def events(spark: SparkSession, path: str, files: int = 1, late: str = "2 days") -> DataFrame:
@@ -50,8 +51,8 @@ def sessions(stream: DataFrame, gap: str = "6 hours") -> DataFrame:
 
 
 def owned(stream: DataFrame, tile_owner: DataFrame, grid: Grid) -> DataFrame:
-    """A stream with the owners of a mapping that stands still; the mapping has one row for each tile."""
-    return place(stream, grid).join(F.broadcast(tile_owner), ["ti", "tj"])
+    """A stream with the owners of a mapping that stands still; it has one row for each tile, and is broadcast only if the grid allows."""
+    return place(stream, grid).join(F.broadcast(tile_owner) if grid.tiles <= BROADCAST_TILES else tile_owner, ["ti", "tj"])
 
 
 def follow_ups(stream: DataFrame, first: str = "view", then: str = "purchase", within: str = "1 hour") -> DataFrame:
