@@ -249,29 +249,27 @@ def repeated(docs: DataFrame, key: str = "doc_id", text: str = "text", window: i
     # stretches whose anchor others have in other words
     shared = different.groupBy("anchor").agg(F.count("*").alias("kinds")).where("kinds > 1")
     unclear = stash(different.join(shared, "anchor").select("anchor", "key", "first", "count", (F.col("kinds") > crowd).alias("crowd")), "unclear")
-    total = unclear.agg(F.sum(F.when(F.col("crowd"), F.col("count") * window).otherwise(F.col("count") + window))).first()[0] or 0
+    total = unclear.where("not crowd").agg(F.sum(F.col("count") + window)).first()[0] or 0
     shards = max(1, -(-total // shard_words))
-    wanted = unclear.groupBy("key").agg(F.collect_list(F.struct("anchor", "first", "count", "crowd")).alias("wanted"))
+    wanted = lambda rows: rows.groupBy("key").agg(F.collect_list(F.struct("anchor", "first", "count")).alias("wanted"))
 
     def pieces(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for i, t, runs in zip(batch.column("key").to_pylist(), batch.column("text").to_pylist(), batch.column("wanted").to_pylist(), strict=True):
                 words, _ = word_hashes([t])
-                out: tuple[list, list, list, list] = ([], [], [], [])
+                first = [run["first"] for run in runs]
+                held = [words[run["first"] : run["first"] + run["count"] + window - 1].tobytes() for run in runs]
+                yield pa.RecordBatch.from_arrays([pa.array([run["anchor"] % shards for run in runs], pa.int64()), pa.array([i] * len(runs), pa.int64()), pa.array(first, pa.int32()), pa.array(held, pa.binary()), pa.array(first, pa.int32())], ["shard", "key", "first", "words", "stretch"])
+
+    def single(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for i, t, runs in zip(batch.column("key").to_pylist(), batch.column("text").to_pylist(), batch.column("wanted").to_pylist(), strict=True):
+                words, _ = word_hashes([t])
+                other = mixed(words + np.uint64(7))
                 for run in runs:
                     a, n = run["first"], run["count"]
-                    if not run["crowd"]:
-                        out[0].append(run["anchor"] % shards)
-                        out[1].append(a)
-                        out[2].append(words[a : a + n + window - 1].tobytes())
-                        out[3].append(a)
-                    else:
-                        own = words[a : a + n + window - 1]
-                        out[0].extend((windows_hash(own, window) % np.uint64(shards)).astype(np.int64).tolist())
-                        out[1].extend(range(a, a + n))
-                        out[2].extend(own[k : k + window].tobytes() for k in range(n))
-                        out[3].extend([a] * n)
-                yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array([i] * len(out[0]), pa.int64()), pa.array(out[1], pa.int32()), pa.array(out[2], pa.binary()), pa.array(out[3], pa.int32())], ["shard", "key", "first", "words", "stretch"])
+                    h1, h2 = (windows_hash(x[a : a + n + window - 1], window).view(np.int64) for x in (words, other))
+                    yield pa.RecordBatch.from_arrays([pa.array(h1), pa.array(h2), pa.array(np.full(n, i)), pa.array(np.arange(a, a + n, dtype=np.int32)), pa.array(np.full(n, a, np.int32))], ["h1", "h2", "key", "first", "stretch"])
 
     def search(shard: pd.DataFrame) -> pd.DataFrame:
         lengths = shard["words"].map(len).to_numpy() // 8
@@ -285,8 +283,14 @@ def repeated(docs: DataFrame, key: str = "doc_id", text: str = "text", window: i
             at += n
         return pd.DataFrame(out, columns=["key", "first", "last", "stretch"])
 
-    pieced = texts.join(wanted, "key").mapInArrow(pieces, "shard long, key long, first int, words binary, stretch int")
-    found = stash(pieced.groupBy("shard").applyInPandas(search, "key long, first int, last int, stretch int"), "found")
+    pieced = texts.join(wanted(unclear.where("not crowd")), "key").mapInArrow(pieces, "shard long, key long, first int, words binary, stretch int")
+    searched = pieced.groupBy("shard").applyInPandas(search, "key long, first int, last int, stretch int")
+    # windows of a crowded anchor are met by their hashes, so that a passage that all documents share needs no shard of its own
+    crowded = texts.join(wanted(unclear.where("crowd")), "key").mapInArrow(single, "h1 long, h2 long, key long, first int, stretch int")
+    crowded = stash(crowded, "windows")
+    least = crowded.groupBy("h1", "h2").agg(F.min("key").alias("least"), F.max("key").alias("most")).where("least < most").select("h1", "h2", "least")
+    after = crowded.join(least, ["h1", "h2"]).where("key > least").select("key", "first", (F.col("first") + window).alias("last"), "stretch")
+    found = stash(searched.union(after), "found")
     moved = found.join(again, ["key", "stretch"]).select("key", F.col("first") + F.col("shift"), F.col("last") + F.col("shift"))
     return stash(same.union(found.select("key", "first", "last")).union(moved), "repeats").withColumnRenamed("key", key)
 
