@@ -18,11 +18,13 @@ _paths: dict[int, tuple[weakref.ref, str]] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The checkpoint folder all executors share; a temporary one only where the session names none."""
+    """The checkpoint folder all executors share; a temporary one only where a session on a single machine names none."""
     context = spark.sparkContext
     found = context._jsc.sc().getCheckpointDir()
     if not found.isDefined():
         named = spark.conf.get("spark.checkpoint.dir", None)
+        if not named and not context.master.startswith("local"):
+            raise ValueError("a cluster needs spark.checkpoint.dir, a folder that all executors share")
         context.setCheckpointDir(named or tempfile.mkdtemp(prefix="tilebalance-"))
         found = context._jsc.sc().getCheckpointDir()
     return found.get()

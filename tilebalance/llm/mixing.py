@@ -46,16 +46,16 @@ def source_targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, share:
     return levels.withColumn("true", true_level).select("source", "source_size", F.coalesce(F.least(F.col("w") * F.col("true"), most * F.col("size")), most * F.col("size")).alias("target"))
 
 
-def tilts(cells: DataFrame, targets: DataFrame, most: int = MOST, rounds: int = 60, tolerance: float = 1e-9) -> DataFrame:
+def tilts(cells: DataFrame, targets: DataFrame, most: int = MOST, tolerance: float = 1e-9) -> DataFrame:
     """(source, target, source_size, scale, tilt) of each source that can reach its target below `most` copies each; tilt is per `scale` words.
 
-    cells: (source, size, n) with size > 0. Where every document must be taken `most` times, tilt is null."""
+    Newton's steps are taken until all targets are met, or a tilt's bracket holds no other number. cells: (source, size, n) with size > 0. Where every document must be taken `most` times, tilt is null."""
     scales = cells.groupBy("source").agg((F.sum(F.col("n") * F.col("size")) / F.sum("n")).alias("scale"), F.min("size").alias("least"))
     state = targets.join(scales, targets["source"].eqNullSafe(scales["source"])).drop(scales["source"])
     bounded = F.col("target") < F.lit(float(most)) * F.col("source_size") * (1 - 1e-12)
     # at the upper end even the smallest document is taken `most` times; the lower end is found by doubling
     state = stash(state.select("*", F.when(bounded, F.lit(0.0)).alias("tilt"), F.lit(None).cast("double").alias("low"), (F.lit(1e-9) + F.log(F.lit(float(most))) * F.col("scale") / F.col("least")).alias("high"), F.lit(False).alias("done")), "tilts")
-    for _ in range(rounds):
+    while True:
         a, s = cells.alias("c"), state.where("tilt is not null").alias("s")
         x = F.col("c.size") / F.col("s.scale")
         rate = F.least(F.exp(F.least(F.col("s.tilt") * x, F.lit(700.0))), F.lit(float(most)))
@@ -70,7 +70,8 @@ def tilts(cells: DataFrame, targets: DataFrame, most: int = MOST, rounds: int =
         got = got.withColumns({"low": low, "high": high, "next": newton, "done": F.col("tilt").isNull() | (F.abs(F.col("got") - F.col("target")) <= tolerance * F.greatest("target", F.lit(1.0)))})
         inside = (F.col("next") > F.coalesce("low", F.col("high") - 2 * (F.col("high") - F.col("tilt")) - 1)) & (F.col("next") < F.col("high"))
         halved = F.coalesce((F.col("low") + F.col("high")) / 2, 2 * F.col("tilt") - 1)
-        got = got.withColumn("tilt", F.when(F.col("tilt").isNull() | F.col("done"), F.col("tilt")).when(inside, F.col("next")).otherwise(halved))
+        moved = F.when(F.col("tilt").isNull() | F.col("done"), F.col("tilt")).when(inside, F.col("next")).otherwise(halved)
+        got = got.withColumn("moved", moved).withColumn("done", F.col("done") | (F.col("moved") == F.col("tilt"))).withColumn("tilt", F.col("moved")).drop("moved")
         state = stash(got.drop("got", "slope", "next"), "tilts")
         if state.where("not done").isEmpty():
             break
