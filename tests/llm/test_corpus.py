@@ -155,6 +155,51 @@ def test_quotations_from_other_conversations(spark):
     assert linked[0, 0] == 2
 
 
+def test_quotations_against_every_message(spark):
+    """Sources, parents and paths by comparing each passage with every message."""
+    rng = random.Random(8)
+    said = [f"Sentence {w}." for w in "abcdefghij"] + ["---", ""]
+    messages = []
+    for conv in range(25):
+        for turn in range(rng.randrange(1, 8)):
+            lines = []
+            for _ in range(rng.randrange(1, 5)):
+                level = rng.choice([0, 0, 1, 1, 2])
+                lines += [">" * level + " " * (level > 0) + (x.upper() if rng.random() < 0.2 else x) for x in rng.choices(said, k=rng.randrange(1, 4))]
+            messages.append((conv, turn, "user", "\n".join(lines)))
+    level = lambda x: re.match(r"[ \t]*(?:>[ \t]?)*", x)[0].count(">")
+    norm = lambda x: " ".join(re.sub(r"^[ \t]*(?:>[ \t]?)+", "", x).lower().split())
+    word = lambda x: re.search(r"\w", x)
+    own = {(c, t): {norm(x) for x in text.split("\n") if not level(x) and word(x)} for c, t, _, text in messages}
+    passages, parents, linked = {}, {}, Counter()
+    for c, t, _, text in messages:
+        lines, at = text.split("\n"), 0
+        while at < len(lines):
+            n, depth = 1, level(lines[at])
+            while at + n < len(lines) and level(lines[at + n]) == depth:
+                n += 1
+            if depth:
+                held = [norm(x) for x in lines[at : at + n] if word(norm(x))]
+                votes = {m: sum(x in ls for x in held) for m, ls in own.items()}
+                near = [(v, m[1], m) for m, v in votes.items() if v and m[0] == c and m[1] < t]
+                far = [(-v, m) for m, v in votes.items() if v and m[0] != c]
+                best = max(near)[2] if near else min(far)[1] if far else None
+                passages[c, t, at] = (depth, n, votes[best] if best else 0, *(best or (None, None)))
+                linked[c, t] += best is not None
+                if depth == 1 and best and best[0] == c:
+                    parents.setdefault((c, t), best[1])
+            at += n
+    df = spark.createDataFrame(messages, "conv_id long, turn long, role string, text string")
+    got = {(r["conv"], r["turn"], r["passage"]): (r["level"], r["lines"], r["found"], r["from_conv"], r["from_turn"]) for r in quotations.passages(df).collect()}
+    assert got == passages and parents
+    for r in quotations.reply_order(df).collect():
+        c, path = r["conv_id"], [r["turn"]]
+        while (c, path[0]) in parents:
+            path.insert(0, parents[c, path[0]])
+        assert r["path"] == path and r["depth"] == len(path) - 1 and r["thread_turn"] == path[0]
+        assert r["parent_turn"] == parents.get((c, r["turn"])) and r["n_linked"] == linked[c, r["turn"]]
+
+
 # html
 
 
