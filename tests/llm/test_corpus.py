@@ -594,12 +594,64 @@ def test_toxicity(spark):
     assert {r["score"] for r in none.collect()} == {0.5} and toxicity.score(docs.limit(0), scorer).count() == 0
 
 
-def test_kneser_ney_sums_to_one():
-    model = toxicity.Model(["ab", "abc", "ba"], np.array([[3.0, 0], [1, 2], [0, 4]]), order=3)
-    letters = ["a", "b", "c"]
-    # all words of up to a length cannot exceed the whole, and seen words lean to the class that has them
-    assert model.evidence(["ab"])[0] < 0 < model.evidence(["ba"])[0]
-    assert np.isfinite(model.evidence(["zzz", "", *letters])).all()
+def kneser_ney(words, order, shared, discount):
+    """log P(word | 1) - log P(word | 0) by counting strings: words is {(word, class): count}."""
+    runs = [{} for _ in range(order + 1)]  # runs[k]: {run: [weight in class 0, in class 1]}
+    for (w, y), n in words.items():
+        padded = "\x02" * (order - 1) + w + "\x03"
+        for i in range(len(w) + 1):
+            runs[order].setdefault(padded[i : i + order], [0, 0])[y] += n
+    here = {run: [n > 0 for n in ns] for run, ns in runs[order].items()}
+    for k in range(order - 1, 0, -1):
+        below = {}
+        for run, classes in here.items():
+            got = runs[k].setdefault(run[1:], [0, 0])
+            for y in (0, 1):
+                got[y] += any(classes) if k <= shared else classes[y]
+            below[run[1:]] = [a or b for a, b in zip(below.get(run[1:], [False] * 2), classes, strict=True)]
+        here = below
+    alphabet = len(runs[1]) + 1
+
+    def p(y, run, k):
+        if k == 0:
+            return 1 / alphabet
+        after = [ns[y] for r, ns in runs[k].items() if r[:-1] == run[-k:-1]]
+        lower = p(y, run, k - 1)
+        if not sum(after):
+            return lower
+        return (max(runs[k].get(run[-k:], [0, 0])[y] - discount, 0) + discount * lower * sum(min(n / discount, 1) for n in after)) / sum(after)
+
+    def evidence(w):
+        padded = "\x02" * (order - 1) + w + "\x03"
+        return sum(np.log(p(1, padded[i : i + order], order)) - np.log(p(0, padded[i : i + order], order)) for i in range(len(w) + 1))
+
+    return evidence
+
+
+def test_kneser_ney_models(spark):
+    rng = random.Random(29)
+    words = ["".join(rng.choices("abcé😀", k=rng.randrange(1, 9))) for _ in range(60)]
+    counted = [(w, *(rng.choice([0, 0, 1, 3]) for _ in range(4))) for w in sorted(set(words))]
+    df = spark.createDataFrame(counted, "word string, n00 long, n01 long, n10 long, n11 long")
+    for order, shared, discount in ((6, 2, 1.0), (3, 1, 0.5)):
+        models = toxicity._models(df.repartition(3), order, shared, discount)
+        for which, folds in ((0, (0,)), (1, (1,)), (2, (0, 1))):
+            want = kneser_ney({(w, y): n for w, *ns in counted for y in (0, 1) if (n := sum(ns[2 * y + f] for f in folds))}, order, shared, discount)
+            asked = [*words[:20], "", "zzz", "abc", "x"]
+            assert np.allclose(models[which].evidence(asked), [want(w) for w in asked], rtol=1e-4, atol=1e-4)
+    nothing = toxicity._models(df.limit(0))
+    assert (nothing[2].evidence(["a", ""]) == 0).all()
+
+
+def test_toxicity_counts_grow_with_the_input(spark):
+    """Words of labelled rows beyond the bound of the curve count too."""
+    rows = [(i, f"plain{i % 7} word " + ("vile" if i % 2 else "mild"), i % 2) for i in range(400)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, y int")
+    rare = spark.createDataFrame([(5000 + i, "schurkenhaft plain1", 1) for i in range(30)], docs.schema)
+    both = docs.union(rare)
+    labels = both.select("doc_id", F.col("y").alias("toxic"))
+    scorer = toxicity.fit(both, labels, bound=20)
+    assert scorer.model().evidence(["schurkenhaft"])[0] > toxicity.fit(docs, labels, bound=20).model().evidence(["schurkenhaft"])[0] + 1
 
 
 # byte-level BPE

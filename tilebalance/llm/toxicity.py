@@ -8,13 +8,17 @@ same over the words that speak for the class alone, and the mean over its three
 logistic curve turns these into a score from 0 to 1. The curve is fitted across two folds, each judged by
 the models of the other, so that it does not take what the models know by heart for evidence.
 
-Models are fitted on labelled rows, at most `bound` of each class, those with the least hash of their key;
-every row is scored over its whole text, by word types, whose evidence a task keeps as long as it runs. Null and
-empty texts have no evidence and get the score that the curve has there. Rows without a label, with a
-null label or beyond the bound are scored like any other."""
+All counts are taken over every labelled row that is not held out, and grow with the input: words are counted in
+tasks, their runs of letters level by level in Spark. A model that goes to tasks has a place for 2**BITS runs and
+as many contexts of each order, found by their hashes; runs that meet in a place are counted together, so its size is
+bounded whatever the input. Only the curve, of four numbers, is fitted on at most `bound` rows of each class, those
+with the least hash of their key. Every row is scored over its whole text, by word types, whose evidence a task keeps
+as long as it runs. Null and empty texts have no evidence and get the score that the curve has there. Rows without a
+label or with a null label are scored like any other."""
 
 from __future__ import annotations
 
+import functools
 import pickle
 import zlib
 from collections.abc import Iterator
@@ -25,10 +29,12 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import discard, stash
 from .textkit import chunks, mixed, powers
 
-#: Labelled rows of each class used for fitting at most; letters in the longest run; shared orders; discount; word types a task keeps.
-BOUND, ORDER, SHARED, DISCOUNT, KEPT = 2_000, 6, 2, 1.0, 600_000
+#: Labelled rows of each class for the curve at most; letters in the longest run; shared orders; discount; word types a task keeps;
+#: bits of the place of a run; word types that a task counts before it hands them on.
+BOUND, ORDER, SHARED, DISCOUNT, KEPT, BITS, HELD = 2_000, 6, 2, 1.0, 600_000, 22, 500_000
 _LETTERS = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -42,46 +48,33 @@ def _places(words: list[str], order: int) -> tuple[np.ndarray, np.ndarray, np.nd
     return codes, np.arange(len(word)) + pad * (word + 1), word
 
 
+def _cell(total: np.ndarray) -> np.ndarray:
+    return (mixed(total) >> np.uint64(64 - BITS)).astype(np.uint32)
+
+
 def _runs(codes: np.ndarray, at: np.ndarray, order: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """For k from 1 to order: hashes of the k letters that end at each place, and of the k-1 letters before it."""
+    """For k from 1 to order: cells of the k letters that end at each place, and of the k-1 letters before it."""
     run, context = np.zeros(len(at), np.uint64), np.zeros(len(at), np.uint64)
     for k, power in enumerate(powers(_LETTERS, order)):
         run = run + codes[at - k] * power
-        yield mixed(run + np.uint64(k + 1)), mixed(context + np.uint64(k + 101))
+        yield _cell(run + np.uint64(k + 1)), _cell(context + np.uint64(k + 101))
         if k + 1 < order:
             context = context + codes[at - 1 - k] * power
 
 
+def _cells_of(runs: list[str], k: int) -> tuple[np.ndarray, np.ndarray]:
+    """The same cells for strings of k letters each, and for their first k-1 letters."""
+    codes = np.frombuffer("".join(runs).encode("utf-32-le"), np.uint32).reshape(-1, k).astype(np.uint64) + np.uint64(1)
+    power = powers(_LETTERS, k)[::-1]
+    return _cell((codes * power).sum(1, dtype=np.uint64) + np.uint64(k)), _cell((codes[:, :-1] * power[1:]).sum(1, dtype=np.uint64) + np.uint64(k + 100))
+
+
 class Model:
-    """Sorted tables of runs: for each order, hash, weight in either class; for each context, total and number of followers."""
-
-    def __init__(self, words: list[str], counts: np.ndarray, order: int = ORDER, shared: int = SHARED, discount: float = DISCOUNT):
-        self.order, self.shared, self.discount = order, shared, discount
-        codes, at, word = _places(words, order)
-        self.tables, self.followed = [], []
-        steps = _runs(codes, at, order)
-        now = next(steps)
-        for k in range(1, order + 1):
-            runs, contexts = now
-            keys, first, index = np.unique(runs, return_index=True, return_inverse=True)
-            if k < order:  # Kneser-Ney: how many different letters stand before the run, in each class or in both
-                now = next(steps)
-                longer, one, up = np.unique(now[0], return_index=True, return_inverse=True)
-                ends = index[one]
-                if k <= shared:
-                    weights = np.stack([np.bincount(ends, minlength=len(keys)).astype(float)] * 2)
-                else:
-                    weights = np.stack([np.bincount(ends, (np.bincount(up, counts[word, c], len(longer)) > 0).astype(float), len(keys)) for c in (0, 1)])
-                del longer, one, up, ends
-            else:
-                weights = np.stack([np.bincount(index, counts[word, c], len(keys)) for c in (0, 1)])
-            del runs, index
-            self.tables.append((keys, weights.astype(np.float32)))
-            above, of = np.unique(contexts[first], return_inverse=True)
-            totals = np.stack([np.bincount(of, weights[c], len(above)) for c in (0, 1)])
-            kinds = np.stack([np.bincount(of, np.minimum(weights[c] / discount, 1.0), len(above)) for c in (0, 1)])
-            self.followed.append((above, totals.astype(np.float32), kinds.astype(np.float32)))
-        self.alphabet = max(1, len(self.tables[0][0])) + 1
+    """For each order: sorted cells of runs with their weight in either class, and of contexts with total and number of followers."""
+
+    def __init__(self, tables: list[tuple], followed: list[tuple], discount: float = DISCOUNT):
+        self.tables, self.followed, self.order, self.discount = tables, followed, len(tables), discount
+        self.alphabet = max(1, len(tables[0][0])) + 1
 
     def evidence(self, words: list[str]) -> np.ndarray:
         """log P(word | class 1) - log P(word | class 0) of each word."""
@@ -111,6 +104,63 @@ def _find(keys: np.ndarray, wanted: np.ndarray) -> tuple[np.ndarray, np.ndarray]
     return at, keys[at] == wanted if len(keys) else np.zeros(len(wanted), bool)
 
 
+def _models(counted: DataFrame, order: int = ORDER, shared: int = SHARED, discount: float = DISCOUNT) -> dict[int, Model]:
+    """Models 0 and 1 of either fold and 2 of both, from (word, n00, n01, n10, n11): how often a word stands in class y of fold f.
+
+    A run of the longest order weighs as often as it stands there, a shorter one by the number of different letters before it."""
+    marks = [(y, f) for y in (0, 1) for f in (0, 1)]
+    padded = F.concat(F.lit("\x02" * (order - 1)), "word", F.lit("\x03"))
+    ends = F.explode(F.transform(F.sequence(F.lit(1), F.length("word") + 1), lambda i: F.substring(padded, i, F.lit(order))))
+    longest = stash(counted.select(ends.alias("run"), *(f"n{y}{f}" for y, f in marks)).groupBy("run").agg(*(F.sum(f"n{y}{f}").alias(f"n{y}{f}") for y, f in marks)), "runs")
+
+    folds = {0: (0,), 1: (1,), 2: (0, 1)}
+    kept = [F.col(f"p{y}{f}") for y, f in marks]
+
+    def there(which: int, y: int) -> Column:
+        """Whether a run is in a class and fold, for shared orders in either class."""
+        own, other = (functools.reduce(Column.__or__, (F.col(f"p{c}{f}") for f in folds[which])) for c in (y, 1 - y))
+        return own | (other & (F.col("k") <= shared))
+
+    def by(of) -> Column:
+        return F.array(*(F.struct(F.lit(which).alias("which"), of(which, 0).cast("double").alias("w0"), of(which, 1).cast("double").alias("w1")) for which in folds)).alias("by")
+
+    seen = longest.select("run", *((F.col(f"n{y}{f}") > 0).alias(f"p{y}{f}") for y, f in marks))
+    tails = F.explode(F.transform(F.sequence(F.lit(2), F.lit(order)), lambda k: F.struct((k - 1).alias("k"), F.substring("run", F.lit(order + 1) - k, k).alias("run")))).alias("at")
+    apart = seen.select(tails, *kept).select("at.*", *kept).groupBy("k", "run").agg(*(F.max(c).alias(f"p{y}{f}") for c, (y, f) in zip(kept, marks, strict=True)))
+    lower = apart.groupBy("k", F.substring("run", 2, order).alias("run")).agg(by(lambda which, y: F.sum(there(which, y).cast("long"))))
+    top = longest.select(F.lit(order).alias("k"), "run", by(lambda which, y: sum(F.col(f"n{y}{f}") for f in folds[which])))
+
+    def placed(batches):
+        for batch in batches:
+            ks = batch.column("k").to_numpy()
+            for k in sorted(set(ks.tolist())):
+                own = batch.take(pa.array(np.flatnonzero(ks == k)))
+                cell, context = _cells_of(own.column("run").to_pylist(), k)
+                yield pa.RecordBatch.from_arrays([own.column("k"), pa.array(cell.astype(np.int64)), pa.array(context.astype(np.int64)), own.column("by")], ["k", "cell", "context", "by"])
+
+    rows = top.unionByName(lower).mapInArrow(placed, "k int, cell long, context long, by array<struct<which:int,w0:double,w1:double>>").select("k", "cell", "context", F.inline("by")).where("w0 + w1 > 0")
+    kinds = [F.least(F.col(w) / discount, F.lit(1.0)) for w in ("w0", "w1")]
+    entries = F.inline(F.array(*(F.struct(F.lit(kind).alias("kind"), F.col(place).alias("cell"), F.col("w0"), F.col("w1"), x.alias("k0"), y.alias("k1")) for kind, place, (x, y) in ((0, "cell", [F.lit(0.0)] * 2), (1, "context", kinds)))))
+    every = rows.select("which", "k", entries).groupBy("which", "k", "kind", "cell").agg(*(F.sum(c).alias(c) for c in ("w0", "w1", "k0", "k1")))
+
+    def pack(key: tuple, group: pd.DataFrame) -> pd.DataFrame:
+        group = group.sort_values("cell")
+        columns = [group["cell"].to_numpy(np.uint32), group[["w0", "w1"]].to_numpy(np.float32).T.copy()]
+        if key[2]:
+            columns.append(group[["k0", "k1"]].to_numpy(np.float32).T.copy())
+        return pd.DataFrame({"which": [key[0]], "k": [key[1]], "kind": [key[2]], "table": [zlib.compress(pickle.dumps(tuple(columns)), 1)]})
+
+    # a group has 2**BITS rows at most
+    packed = {(r["which"], r["k"], r["kind"]): bytes(r["table"]) for r in every.groupBy("which", "k", "kind").applyInPandas(pack, "which int, k int, kind int, table binary").collect()}
+    discard(longest)
+    nothing = np.zeros(0, np.uint32), np.zeros((2, 0), np.float32), np.zeros((2, 0), np.float32)
+
+    def table(*at: int) -> tuple:
+        return pickle.loads(zlib.decompress(packed[at])) if at in packed else nothing[: 2 + at[2]]
+
+    return {which: Model([table(which, k, 0) for k in range(1, order + 1)], [table(which, k, 1) for k in range(1, order + 1)], discount) for which in folds}
+
+
 def _features(texts: list[str], model: Model, known: dict[str, float]) -> np.ndarray:
     """Mean evidence by words, mean of what is for the class, mean of the three strongest; zeros for a text without words."""
     out = np.zeros((len(texts), 3))
@@ -164,39 +214,39 @@ def held_out(key: str = "doc_id") -> Column:
 
 
 def fit(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "text", label: str = "toxic", bound: int = BOUND) -> Scorer:
-    """Models and curve from labelled rows that are not held out. A key with both labels counts as toxic.
+    """Models from all labelled rows that are not held out, the curve from at most `bound` of each class. A key with both labels counts as toxic.
 
     Without rows of both classes the score is the share of the class that there is, or one half."""
     marked = labels.where(F.col(label).isin(0, 1) & F.col(key).isNotNull() & ~held_out(key)).groupBy(F.col(key).alias("_key")).agg(F.max(label).cast("int").alias("_y"))
     order = F.xxhash64("_key")
     chosen = marked.where("_y = 0").orderBy(order, "_key").limit(bound).union(marked.where("_y = 1").orderBy(order, "_key").limit(bound))
-    sample = docs.select(F.col(key).alias("_key"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("_text")).join(F.broadcast(chosen), "_key").select("_text", "_y", F.pmod(F.xxhash64("_key", F.lit("fold")), F.lit(2)).cast("int").alias("_fold"))
+    texts = docs.select(F.col(key).alias("_key"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("_text")).where(F.col("_key").isNotNull() & ~held_out("_key"))
+
+    def labelled(which: DataFrame) -> DataFrame:
+        return texts.join(which, "_key").select("_text", "_y", F.pmod(F.xxhash64("_key", F.lit("fold")), F.lit(2)).cast("int").alias("_fold"))
+
+    sample = labelled(F.broadcast(chosen))
 
     def count(batches):
         from collections import Counter
 
+        def handed(seen: Counter) -> pa.RecordBatch:
+            words, ys, folds = zip(*seen, strict=True) if seen else ((), (), ())
+            return pa.RecordBatch.from_arrays([pa.array(words, pa.string()), pa.array(ys, pa.int32()), pa.array(folds, pa.int32()), pa.array(seen.values(), pa.int64())], ["word", "y", "fold", "n"])
+
         seen: Counter = Counter()
         for batch in batches:
             for t, y, fold in zip(*(batch.column(c).to_pylist() for c in ("_text", "_y", "_fold")), strict=True):
-                seen.update((w, y, fold) for w in t.lower().split())
-        words, ys, folds = zip(*seen, strict=True) if seen else ((), (), ())
-        yield pa.RecordBatch.from_arrays([pa.array(words, pa.string()), pa.array(ys, pa.int32()), pa.array(folds, pa.int32()), pa.array(seen.values(), pa.int64())], ["word", "y", "fold", "n"])
-
-    n = {(y, f): F.coalesce(F.sum(F.when((F.col("y") == y) & (F.col("fold") == f), F.col("n"))), F.lit(0)).alias(f"n{y}{f}") for y in (0, 1) for f in (0, 1)}
-    counted = sample.mapInArrow(count, "word string, y int, fold int, n long").groupBy("word").agg(*n.values())
-
-    def build(key, group: pd.DataFrame) -> pd.DataFrame:
-        folds = (0, 1) if key[0] == 2 else key
-        own = np.stack([sum(group[f"n{y}{f}"].to_numpy() for f in folds) for y in (0, 1)], 1).astype(float)
-        there = np.flatnonzero(own.sum(1))
-        there = there[np.argsort(group["word"].to_numpy()[there])]
-        return pd.DataFrame({"which": [key[0]], "model": [zlib.compress(pickle.dumps(Model(group["word"].to_numpy()[there].tolist(), own[there])), 1)]})
-
-    # three models of bounded size, of either fold and of both, each built by one task
-    built = counted.withColumn("which", F.explode(F.array(F.lit(0), F.lit(1), F.lit(2)))).groupBy("which").applyInPandas(build, "which int, model binary")
-    models = {row["which"]: bytes(row["model"]) for row in built.collect()}
-    empty = zlib.compress(pickle.dumps(Model([], np.zeros((0, 2)))))
-    folds = [models.get(f, empty) for f in (0, 1)]
+                for w, n in Counter(t.lower().split()).items():
+                    seen[w, y, fold] += n
+                if len(seen) > HELD:
+                    yield handed(seen)
+                    seen = Counter()
+        yield handed(seen)
+
+    n = [F.coalesce(F.sum(F.when((F.col("y") == y) & (F.col("fold") == f), F.col("n"))), F.lit(0)).alias(f"n{y}{f}") for y in (0, 1) for f in (0, 1)]
+    models = _models(labelled(marked).mapInArrow(count, "word string, y int, fold int, n long").groupBy("word").agg(*n))
+    folds = [zlib.compress(pickle.dumps(models[f]), 1) for f in (0, 1)]
     shared = sample.sparkSession.sparkContext.broadcast(folds)
 
     def judge(batches):
@@ -219,7 +269,7 @@ def fit(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "te
         curve = np.zeros(3), np.ones(3), np.array([0, 0, 0, np.log(share / (1 - share))])
     else:
         curve = _curve(x, y)
-    return Scorer(models.get(2, empty), curve)
+    return Scorer(zlib.compress(pickle.dumps(models[2]), 1), curve)
 
 
 def score(docs: DataFrame, scorer: Scorer, text: str = "text", to: str = "score") -> DataFrame:
