@@ -168,6 +168,16 @@ def test_sinks(spark, tmp_path):
         assert sorted(map(str, sinks.read_plain(spark, str(tmp_path / kind), kind, schema.CUT_TREE).collect())) == want
 
 
+def test_rows_of_streams_do_not_come_to_the_driver(spark, sf):
+    """A table of the driver's memory is one relation of rows; these are files that Spark's tasks read."""
+    for name in ("stream_once", "stream_session_load"):
+        df = QUERIES[name](spark, sf)
+        assert df.inputFiles() and "LocalTableScan" not in df._jdf.queryExecution().optimizedPlan().toString() and "MemoryPlan" not in df._jdf.queryExecution().optimizedPlan().toString()
+    stream = streams.events(spark, f"{sf}/events.parquet")
+    none = streams.collected(stream.where("event_id < 0").select("event_id"), "append")
+    assert none.columns == ["event_id"] and none.count() == 0
+
+
 def test_streams(spark, tmp_path):
     events = spark.read.parquet(f"{SF}/events.parquet").orderBy("ts")
     for k in range(3):

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import atexit
 import uuid
 from collections.abc import Callable, Iterator
 from pathlib import Path
@@ -13,6 +14,7 @@ from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
 from ..operators.cost import LoadMap, gather, tile_load
 from ..operators.grid import Grid, locate
+from ..operators.lineage import shared
 from ..operators.partition import Cut, share_cut, tethered_or_full
 from ..operators.placement import BROADCAST_TILES
 
@@ -117,12 +119,36 @@ class Rebalancer:
         return self.cut
 
 
+def _remove(spark: SparkSession, path: str) -> None:
+    try:
+        where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+        where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+    except Exception:  # noqa: BLE001  the session has ended before: the files stay in the checkpoint folder
+        return
+
+
 def collected(stream: DataFrame, mode: str = "complete") -> DataFrame:
-    """The rows a bounded stream gives, after all of its input has been read."""
-    name = f"stream_{uuid.uuid4().hex}"
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
-    query.awaitTermination()
-    return stream.sparkSession.table(name)
+    """The rows a bounded stream gives, after all of its input has been read.
+
+    They are written to the shared folder, never held by the driver: in complete mode each batch holds all rows so far, so
+    the last one is the result. Files are removed when the driver's program ends, state as soon as the stream has."""
+    spark = stream.sparkSession
+    shared(spark)
+    path = f"{spark.sparkContext._jsc.sc().getCheckpointDir().get()}/stream-{uuid.uuid4().hex}"
+    out, state, numbers = f"{path}/rows", f"{path}-state", []
+    atexit.register(_remove, spark, path)
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{out}/{number}")
+        numbers.append(number)
+
+    writer = stream.writeStream.outputMode(mode).option("checkpointLocation", state).trigger(availableNow=True)
+    try:
+        (writer.format("parquet").start(out) if mode == "append" else writer.foreachBatch(keep).start()).awaitTermination()
+    finally:
+        _remove(spark, state)
+    found = [out] if mode == "append" else [f"{out}/{n}" for n in (numbers[-1:] if mode == "complete" else numbers)]
+    return spark.read.schema(stream.schema).parquet(*found) if found else spark.createDataFrame([], stream.schema)
 
 
 def drained(stream: DataFrame, sink: Callable[[DataFrame, int], None], checkpoint: str | Path) -> None:
