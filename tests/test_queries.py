@@ -45,6 +45,15 @@ def test_rows_only_queries_run(spark, name):
     assert QUERIES[name](spark, str(SF)).count() > 0
 
 
+@pytest.mark.parametrize("name", ["diff_links4x4"])
+def test_queries_follow_the_given_table(spark, tmp_path, name):
+    """Half of the events give other rows: the query reads them."""
+    (tmp_path / "half").mkdir()
+    duckdb.sql(f"COPY (SELECT * FROM '{SF}/events.parquet' WHERE event_id % 2 = 0 AND user_id % 4 <> 3 AND value < 100) TO '{tmp_path}/half/events.parquet' (FORMAT parquet)")
+    rows = [sorted(map(repr, QUERIES[name](spark, where).collect())) for where in (str(SF), f"{tmp_path}/half")]
+    assert rows[0] != rows[1]
+
+
 def test_entry(spark):
     rows = __spark_entry__.entry(spark).collect()
     assert len(rows) == 8 and sum(r["load"] for r in rows) == 1000
