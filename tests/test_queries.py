@@ -45,7 +45,7 @@ def test_rows_only_queries_run(spark, name):
     assert QUERIES[name](spark, str(SF)).count() > 0
 
 
-@pytest.mark.parametrize("name", ["diff_links4x4", "diff_pairwise", "field_prescribed", "fn_polygon_barycentre", "fn_zorder_key", "gen_quads", "mesh_graph_cut", "met_mesh_counts", "met_volume", "part_even_tiles"])
+@pytest.mark.parametrize("name", ["diff_links4x4", "diff_pairwise", "field_prescribed", "fn_polygon_barycentre", "fn_zorder_key", "gen_quads", "mesh_graph_cut", "met_mesh_counts", "met_volume", "part_even_tiles", "pic_leapfrog_mesh"])
 def test_queries_follow_the_given_table(spark, tmp_path, name):
     """Half of the events give other rows: the query reads them."""
     (tmp_path / "half").mkdir()
